@@ -6,10 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from seqgrid.llm import language, quality, sharding
+from seqgrid.llm import jaccard, language, packing, quality, sharding
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_packing": packing.op1_packing,
     "op2_language_id": language.op2_language_id,
+    "op6_ngram_jaccard_join": jaccard.op6_ngram_jaccard_join,
     "op9_quality_classifier": quality.op9_quality_classifier,
     "op10_sharding": sharding.op10_sharding,
     "sharding_small": sharding.sharding_small,
