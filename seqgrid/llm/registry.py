@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from seqgrid.llm import decontam, jaccard, language, packing, quality, sharding
+from seqgrid.llm import decontam, jaccard, language, lm_score, packing, quality, sharding
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_packing": packing.op1_packing,
     "op2_language_id": language.op2_language_id,
     "op3_benchmark_decontamination": decontam.op3_benchmark_decontamination,
+    "op4_lm_scoring": lm_score.op4_lm_scoring,
     "op6_ngram_jaccard_join": jaccard.op6_ngram_jaccard_join,
     "op9_quality_classifier": quality.op9_quality_classifier,
     "op10_sharding": sharding.op10_sharding,
