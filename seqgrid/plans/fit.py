@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -11,9 +12,10 @@ from pyspark.sql import functions as F
 
 from seqgrid.functions.encode import quantile_cuts
 from seqgrid.operators import grid, merge, refine
-from seqgrid.operators.grid import Grid
+from seqgrid.operators.grid import Grid, Shape
 from seqgrid.operators.score import cost
 from seqgrid.plans import kernel
+from seqgrid.sources.persist import cut
 
 KERNEL_POINTS = 8_000_000  # folded points that one task holds (about 32 bytes each, and the kernel's arrays)
 CAP = 2048  # parts on an axis, at most
@@ -134,51 +136,80 @@ def coarse_grid(points: DataFrame, cap: int = CAP, prior: str = "at_most") -> Gr
     return grid.apply(points, part("s", h["n"]), cuts, part("e", h["a"]), prior)
 
 
+@dataclass
+class _Rolled:
+    """Cells of a grid with the sizes of its parts on the driver (at most CAP an axis): all that merging needs."""
+
+    cells: DataFrame
+    sizes: dict[str, dict[int, tuple[int, int]]]
+    h: Shape
+    prior: str
+
+    def parts(self, dim: str) -> DataFrame:
+        rows = [(p, int(n), int(m)) for p, (n, m) in sorted(self.sizes[dim].items())]
+        return self.cells.sparkSession.createDataFrame(rows, "part int, n_points long, n_values long")
+
+    def shape(self) -> Shape:
+        return Shape(self.h.n, self.h.a, self.h.N, *[len(self.sizes[d]) for d in "STE"])
+
+    def merged(self, dim: str, to: dict[int, int]) -> _Rolled:
+        """Parts renamed by to, which covers all parts of the axis."""
+        size: dict[int, tuple[int, int]] = {}
+        for p, (n, m) in self.sizes[dim].items():
+            a, b = size.get(to[p], (0, 0))
+            size[to[p]] = (a + n, 1 if dim == "T" else b + m)
+        c = grid.DIMS[dim]
+        names = self.cells.sparkSession.createDataFrame(list(to.items()), f"{c} int, _to int")
+        cells = self.cells.join(F.broadcast(names), c).withColumn(c, F.col("_to")).groupBy("s_part", "t_part", "e_part").agg(F.sum("n").cast("long").alias("n"))
+        return _Rolled(cut(cells), {**self.sizes, dim: size}, self.h, self.prior)
+
+
 def greedy_batched(g: Grid, min_gain: float = 0.0, max_rounds: int = 200, until_cells: int | None = None) -> tuple[Grid, list[tuple]]:
     """Rounds of many merges at once, for grids too large for a task.
 
     In a round one axis merges its mutually best, disjoint pairs. Their changes add up exactly but for the variable
-    level, which is known for any number of merges; the longest prefix by change that lowers the cost is done.
+    level, which is known for any number of merges; the longest prefix by change that lowers the cost is done. Only
+    cells take part in the rounds, each round's cells going to the shared folder; the points are labelled once, at the end.
     """
+    sizes = {d: {r["part"]: (r["n_points"], r["n_values"]) for r in g.parts(d).collect()} for d in "STE"}
+    now = _Rolled(cut(g.cells), sizes, g.shape(), g.prior)
+    label = {d: {p: p for p in sizes[d]} for d in "STE"}
     log: list[tuple] = []
     idle = 0
-    while idle < 3 and len(log) < max_rounds and (until_cells is None or g.cells.count() > until_cells):
+    while idle < 3 and len(log) < max_rounds and (until_cells is None or now.cells.count() > until_cells):
         dim = "STE"[len(log) % 3]
-        h = g.shape()
-        k = {"S": h.kS, "T": h.kT, "E": h.kE}[dim]
+        k = len(now.sizes[dim])
         if k < 2:
             log.append((len(log), dim, 0, 0.0))
             idle += 1
             continue
-        step = merge.variable_step(g, dim)
-        d = merge.deltas(g, dim).withColumn("own", F.col("delta") - step)
-        two = d.select("left", "right", "own", F.col("left").alias("p")).unionByName(d.select("left", "right", "own", F.col("right").alias("p")))
+        step = merge.variable_step(now, dim)
+        d = merge.deltas(now, dim).withColumn("own", F.col("delta") - step)
+        two = d.select("left", "right", "own", F.explode(F.array("left", "right")).alias("p"))
         first = two.withColumn("r", F.row_number().over(Window.partitionBy("p").orderBy("own", "left", "right"))).where("r = 1")
         mutual = first.groupBy("left", "right", "own").count().where("count = 2").orderBy("own", "left")
         picks = [(r["left"], r["right"], r["own"]) for r in mutual.collect()]  # fewer than the parts of one axis
         run, best, take = 0.0, -min_gain - kernel.EPS, 0
         for m, (_, _, own) in enumerate(picks, 1):
             run += own
-            value = run + merge.variable_step(g, dim, m)
+            value = run + merge.variable_step(now, dim, m)
             if value < best:
                 best, take = value, m
         log.append((len(log), dim, take, best if take else 0.0))
-        if take:
-            pairs = {b: a for a, b, _ in picks[:take]}
-            gone = sorted(pairs)
-            relabel = {p: (pairs.get(p, p)) - int(np.searchsorted(gone, pairs.get(p, p))) for p in range(k)}
-            g = merge.apply(g, {dim: {p: q for p, q in relabel.items() if p != q}})
-            g = _rest(g)
-            idle = 0
-        else:
+        if not take:
             idle += 1
-    return g, log
+            continue
+        idle = 0
+        into = {b: a for a, b, _ in picks[:take]}
+        kept = {p: i for i, p in enumerate(sorted(p for p in now.sizes[dim] if p not in into))}
+        to = {p: kept[into.get(p, p)] for p in now.sizes[dim]}
+        now = now.merged(dim, to)
+        label[dim] = {p: to[q] for p, q in label[dim].items()}
+    return merge.apply(g, {d: {p: q for p, q in m.items() if p != q} for d, m in label.items()}), log
 
 
 def _rest(g: Grid) -> Grid:
-    """Cut the lineage of a round: its labelled points go to the shared folder."""
-    from seqgrid.sources.persist import cut
-
+    """A grid whose labelled points lie in the shared folder."""
     return grid.of_columns(cut(g.laid), g.prior)
 
 

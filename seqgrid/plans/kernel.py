@@ -409,10 +409,49 @@ def improve_bounds(d: Data, p: Parts, passes: int = 6) -> int:
     return shifts
 
 
-def alternate(d: Data, p: Parts, rng: np.random.Generator, rounds: int = 3) -> int:
+def split_bounds(d: Data, p: Parts) -> int:
+    """Cut the interval whose best split lowers the cost most, again and again. Changes p; returns the number of splits.
+
+    Merging can't undo a bound that a start never had.
+    """
+    splits = 0
+    while True:
+        q = p.tidy(d)
+        p.s, p.t, p.e = q.s, q.t, q.e
+        ks, kt, ke = (int(x.max()) + 1 for x in (p.s, p.t, p.e))
+        step = d.variable(ks, kt + 1, ke) - d.variable(ks, kt, ke)
+        cell = (p.t[d.t] * ks + p.s[d.s]) * ke + p.e[d.e]
+        order = np.argsort(cell, kind="stable")
+        cs, nn = cell[order], d.n[order]
+        run = np.cumsum(nn)
+        first = np.concatenate([[True], cs[1:] != cs[:-1]])
+        base = np.concatenate([[0], run])[np.flatnonzero(first)]
+        group = np.cumsum(first) - 1
+        upto = run - base[group]
+        whole = np.concatenate([base[1:], run[-1:]])[group] - base[group]
+        gain = np.empty(len(order))
+        gain[order] = lf_of(upto) - lf_of(upto - nn) + lf_of(whole - upto) - lf_of(whole - upto + nn)
+        lab = p.t[d.t]
+        edge = np.searchsorted(lab, np.arange(kt + 1))
+        total_gain = np.concatenate([[0.0], np.cumsum(gain)])
+        count = np.concatenate([[0], np.cumsum(d.n)])
+        left = count[1:] - count[edge[lab]]
+        all_ = count[edge[lab + 1]] - count[edge[lab]]
+        value = lf_of(left) + lf_of(all_ - left) - lf_of(all_) - (total_gain[1:] - total_gain[edge[lab]])
+        stop = np.flatnonzero((d.t[1:] != d.t[:-1]) & (lab[1:] == lab[:-1]))
+        if not len(stop):
+            return splits
+        i = stop[value[stop].argmin()]
+        if value[i] + step >= -EPS:
+            return splits
+        p.t = p.t + (np.arange(d.nt) > d.t[i])
+        splits += 1
+
+
+def alternate(d: Data, p: Parts, rng: np.random.Generator, rounds: int = 3, splits: bool = False) -> int:
     moves = 0
     for _ in range(rounds):
-        m = improve_values(d, p, 0, rng) + improve_values(d, p, 2, rng) + improve_bounds(d, p)
+        m = improve_values(d, p, 0, rng) + improve_values(d, p, 2, rng) + improve_bounds(d, p) + (split_bounds(d, p) if splits else 0)
         moves += m
         if not m:
             break
@@ -465,7 +504,9 @@ def random_start(d: Data, rng: np.random.Generator, cap: int | None = None) -> P
     ks, ke = pick(min(d.ns, cap, 24)), d.ne if d.ne <= 64 else pick(min(d.ne, cap, 64))
     kt = pick(min(d.nt, cap, 96))
     cuts = np.zeros(d.nt, np.int64)
-    if kt > 1:
+    if d.nt <= 32 and rng.random() < 0.5:
+        cuts[1:] = 1
+    elif kt > 1:
         w = np.cumsum(np.bincount(d.t, d.n, d.nt))
         at = np.searchsorted(w, rng.uniform(0, d.N, kt - 1))
         cuts[np.clip(at, 1, d.nt - 1)] = 1
@@ -503,7 +544,7 @@ def descend(d: Data, p: Parts, rng: np.random.Generator, pre: bool = True, post:
     for _ in range(4):
         p, path, m = greedy(d, p)
         merges, evaluations = merges + m.merges, evaluations + m.evaluations
-        moved = alternate(d, p, rng) if post else 0
+        moved = alternate(d, p, rng, splits=True) if post else 0
         moves += moved
         if not moved:
             break
