@@ -78,6 +78,7 @@ class ByteCNN:
         z = self._tables[0][pairs[:n]]
         for k in range(1, TAPS // 2):
             z += self._tables[k][pairs[k : n + k]]
+        z[at[1:] - 1] = z[at[1:] - 2] = -np.inf  # these would look into the next text
         starts, halves = _chunk_starts(at)
         top = np.maximum.reduceat(z, starts, axis=0)
         last = np.cumsum(halves) - 1
