@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 from seqgrid.llm.common import load
 
 BLOCK_PAGES, MIN_PAGES, SUPPORT, MIN_CLASS = 512, 4, 0.5, 2
+DEPTH = 24  # a path names the innermost elements, so that deep nesting stays linear
 RESULT = "page_id long, host string, slot string, instance int, value string"
 _DROP = re.compile(r"<!--.*?(?:-->|$)|<(script|style)\b[^>]*>.*?(?:</\1\s*>|$)", re.S | re.I)
 _TAG = re.compile(r"<(/?)([a-zA-Z][a-zA-Z0-9:-]*)([^>]*)>|<![^>]*>")
@@ -85,7 +86,7 @@ def tokens(html: str) -> tuple[list[str], list[str]]:
             if name in stack:  # an element left open inside it closes too
                 while stack.pop() != name:
                     pass
-                path = "/".join(stack)
+                path = "/".join(stack[-DEPTH:])
             roles.append(path + "/" + name + "<")
             shown.append("")
             continue
@@ -104,7 +105,7 @@ def tokens(html: str) -> tuple[list[str], list[str]]:
                     shown.append("")
         if name not in _VOID and not m[3].endswith("/"):
             stack.append(name)
-            path = here
+            path = here if len(stack) <= DEPTH else "/".join(stack[-DEPTH:])
     if at < len(html):
         words(html[at:])
     return roles, shown
