@@ -62,12 +62,18 @@ class Grid:
 
 def of_columns(laid: DataFrame, prior: str = "at_most", cuts: list | None = None) -> Grid:
     """Grid of points that carry their parts: (s, t, e, n, s_part, t_part, e_part)."""
-    cells = laid.groupBy("s_part", "t_part", "e_part").agg(F.sum("n").cast("long").alias("n"))
-    values = lambda v, p: laid.groupBy(v, p).agg(F.sum("n").cast("long").alias("n")).select(F.col(v).alias("value"), F.col(p).alias("part"), "n")
-    t = laid.groupBy("t_part").agg(F.sum("n").cast("long").alias("n"), F.min("t").alias("t_lo"), F.max("t").alias("t_hi"))
+    base = profile(laid)
+    cells = base.groupBy("s_part", "t_part", "e_part").agg(F.sum("n").cast("long").alias("n"))
+    values = lambda v, p: base.groupBy(v, p).agg(F.sum("n").cast("long").alias("n")).select(F.col(v).alias("value"), F.col(p).alias("part"), "n")
+    t = base.groupBy("t_part").agg(F.sum("n").cast("long").alias("n"), F.min("t_lo").alias("t_lo"), F.max("t_hi").alias("t_hi"))
     return Grid(laid, cells, values("s", "s_part"), values("e", "e_part"), t, prior, cuts)
 
 
+def profile(laid: DataFrame) -> DataFrame:
+    """Points by sequence, interval and event: time is folded away once, and all of a grid's tables share this one exchange."""
+    return laid.groupBy("s", "s_part", "t_part", "e", "e_part").agg(F.sum("n").cast("long").alias("n"), F.min("t").alias("t_lo"), F.max("t").alias("t_hi"))
+
+
 def lay(points: DataFrame, s_part: Column, t_part: Column, e_part: Column, prior: str = "at_most") -> Grid:
     """Partitions given by expressions over s, t and e."""
     return of_columns(points.select("s", "t", "e", "n", s_part.cast("int").alias("s_part"), t_part.cast("int").alias("t_part"), e_part.cast("int").alias("e_part")), prior)
@@ -98,4 +104,4 @@ def finest(points: DataFrame, prior: str = "at_most") -> Grid:
     return of_columns(laid.select("s", "t", "e", "n", *[F.col(c).cast("int").alias(c) for c in ("s_part", "t_part", "e_part")]), prior)
 
 
-__all__ = ["DIMS", "MAX_LITERAL_CUTS", "VALUE", "Grid", "Shape", "apply", "finest", "lay", "null", "of_columns"]
+__all__ = ["DIMS", "MAX_LITERAL_CUTS", "VALUE", "Grid", "Shape", "apply", "finest", "lay", "null", "of_columns", "profile"]

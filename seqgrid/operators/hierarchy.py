@@ -95,6 +95,6 @@ def tree(merges: DataFrame, dim: str) -> DataFrame:
     run = merges.withColumn("height", F.sum("delta").over(Window.partitionBy(F.lit(0)).orderBy("step").rowsBetween(Window.unboundedPreceding, 0))).where(F.col("dim") == dim)
     made = run.select(F.col("left").alias("p"), F.col("step").alias("born"))
     child = run.select("step", "height", F.explode(F.array("left", "right")).alias("p"))
-    last = child.join(made, "p", "left").where(F.col("born").isNull() | (F.col("born") < F.col("step"))).groupBy("step", "height", "p").agg(F.coalesce(F.max("born"), F.lit(-1)).alias("born"))
+    last = child.join(made, "p", "left").groupBy("step", "height", "p").agg(F.coalesce(F.max(F.when(F.col("born") < F.col("step"), F.col("born"))), F.lit(-1)).alias("born"))
     parent = run.select("step", F.concat_ws("@", "left", "step").alias("parent"))
     return last.join(parent, "step").select(F.concat_ws("@", "p", "born").alias("node"), "parent", "height", "step")

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from seqgrid.functions.mathx import ln_fact, ln_gamma_step
 from seqgrid.operators.grid import DIMS, VALUE, Grid, of_columns
+from seqgrid.operators.grid import profile as fold
 from seqgrid.operators.merge import variable_step
 
 
@@ -19,7 +20,7 @@ def move_deltas(g: Grid, dim: str) -> DataFrame:
     """
     own, v = DIMS[dim], VALUE[dim]
     rest = [c for c in DIMS.values() if c != own]
-    profile = g.laid.groupBy(F.col(v).alias("value"), F.col(own).alias("part"), *rest).agg(F.sum("n").cast("long").alias("x"))
+    profile = fold(g.laid).groupBy(F.col(v).alias("value"), F.col(own).alias("part"), *rest).agg(F.sum("n").cast("long").alias("x"))
     cells = g.cells.select(*rest, F.col(own).alias("target"), F.col("n").alias("y"))
     home = cells.withColumnRenamed("target", "part")
     # leaving: the own cells lose x; arriving in an empty cell: it gets x
