@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 18
 DOC_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 _POLY = 0x9E3779B97F4A7C15 | 1
