@@ -31,10 +31,7 @@ def interval_of(t: Column, cuts: Sequence[float]) -> Column:
 
 
 def join_intervals(df: DataFrame, parts: DataFrame, time: str = "t") -> DataFrame:
-    """Adds t_part by a range join against (t_part, t_lo, t_hi], coarse buckets first so that it is an equi join.
-
-    The interval table has at most as many rows as a grid has intervals, and is broadcast.
-    """
+    """Adds t_part by a range join against intervals [t_lo, t_hi]. They are at most as many as a grid has, and are broadcast."""
     return df.join(F.broadcast(parts.select("t_part", "t_lo", "t_hi")), (F.col(time) >= F.col("t_lo")) & (F.col(time) <= F.col("t_hi"))).drop("t_lo", "t_hi")
 
 
@@ -71,7 +68,7 @@ def ordered_ids(df: DataFrame, column: str, weight: str | None = None, name: str
 
     Rows are range-partitioned; the sizes of the partitions before a row's own, one number each, are broadcast back.
     """
-    sort = df.repartitionByRange(column).sortWithinPartitions(column).withColumn("_p", F.spark_partition_id())
+    sort = _ranged(df, column)
     w = Window.partitionBy("_p").orderBy(column)
     inner = sort.withColumn("_r", F.row_number().over(w) - 1)
     inner = inner.withColumn("_u", F.sum(weight).over(w.rowsBetween(Window.unboundedPreceding, 0))) if weight else inner
@@ -83,8 +80,24 @@ def ordered_ids(df: DataFrame, column: str, weight: str | None = None, name: str
     return out.drop("_p", "_r", "_u", "_o", "_ow")
 
 
+def _ranged(df: DataFrame, column: str) -> DataFrame:
+    """Range-partitioned rows with their partition's number _p, in the shared folder: bounds come from a sample, which another run of the same plan could draw otherwise."""
+    from seqgrid.sources.persist import cut
+
+    return cut(df.repartitionByRange(column).withColumn("_p", F.spark_partition_id()))
+
+
 def asof(left: DataFrame, right: DataFrame, key: str, value: str) -> DataFrame:
-    """Each left row with the latest right value at or before its key, by one sort over the union."""
-    both = left.select(F.col(key), F.lit(None).cast(right.schema[value].dataType).alias(value), F.lit(1).alias("_side")).unionByName(right.select(F.col(key), F.col(value), F.lit(0).alias("_side")))
-    w = Window.partitionBy(F.lit(0)).orderBy(key, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    return both.withColumn(value, F.last(value, ignorenulls=True).over(w)).where("_side = 1").drop("_side")
+    """Each left row with the latest non-null right value at or before its key.
+
+    One range shuffle of the union; within a partition a window carries values on, and what a partition inherits is
+    the last value of those before it, one row each.
+    """
+    both = left.select(F.col(key), F.lit(None).cast(right.schema[value].dataType).alias(value), F.lit(1).alias("_side")).unionByName(right.where(F.col(value).isNotNull()).select(F.col(key), F.col(value), F.lit(0).alias("_side")))
+    rows = _ranged(both, key)
+    w = Window.partitionBy("_p").orderBy(key, "_side").rowsBetween(Window.unboundedPreceding, 0)
+    ends = rows.where("_side = 0").groupBy("_p").agg(F.max_by(value, key).alias("_v"))
+    parts = rows.select("_p").distinct()
+    before = parts.alias("a").join(ends.alias("b"), F.col("b._p") < F.col("a._p")).groupBy(F.col("a._p").alias("_p")).agg(F.max_by("b._v", "b._p").alias("_before"))
+    out = rows.withColumn(value, F.last(value, ignorenulls=True).over(w)).where("_side = 1").join(F.broadcast(before), "_p", "left")
+    return out.select(key, F.coalesce(value, "_before").alias(value))

@@ -6,6 +6,7 @@ import glob
 import os
 
 import duckdb
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
@@ -15,7 +16,7 @@ FAST = ["points_fold", "points_profile", "points_nested", "dict_time", "points_s
 
 
 def value(x) -> str:
-    if x is None or x != x:
+    if x is None or x is pd.NA or x != x:
         return "null"
     if type(x).__name__ in ("bool", "bool_"):
         return str(bool(x))
