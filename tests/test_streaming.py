@@ -49,8 +49,22 @@ def test_fold_and_drift(spark, sf, tmp_path):
     assert stream.drift(g, now).first()["n"] == b.count()
 
 
-def test_live_assignment(spark):
+def test_nearest_part():
     own = {(0, 0): 5, (1, 1): 5}
     table = {0: {(0, 0): 50, (1, 1): 50}, 1: {(0, 1): 50, (1, 0): 50}}
     assert stream.nearest_part(own, table, {0: (100, 4), 1: (100, 4)}) == 0
     assert grid.DIMS["S"] == "s_part"
+
+
+def test_live_assignment(spark, sf, tmp_path):
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        batch, live = replay(spark, sf, tmp_path)
+        g = workloads.fixed_grid(spark, sf)
+        got = run(stream.assign(stream.points(live, "user_id", "ts", "event_type"), g), "a", "update").toPandas()
+        want = batch.groupBy(F.col("user_id").alias("s")).count().toPandas()
+        last = got.sort_values("n").groupby("s").last()
+        assert set(last.index) == set(want.s) and set(last.part) <= {0, 1, 2, 3}
+        assert (last.n <= want.set_index("s")["count"][last.index]).all()
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
