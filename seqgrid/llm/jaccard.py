@@ -17,9 +17,10 @@ At the threshold itself a pair shares no key with probability (1 - t^ROWS)^BANDS
 above it. Nothing is capped: a group of more than BLOCK_TOKENS tokens is cut in blocks which its own members
 probe too. Only texts with a candidate are read again; their ids are broadcast up to BROADCAST_IDS, else joined.
 
-Result: (doc_id_a, doc_id_b, jaccard), doc_id_a < doc_id_b. Pairs of different sets are between their
-representatives; each further text of an equal set has one pair, with its representative, of similarity 1
-(``expand`` lists all pairs). Defined results: texts without words (null, empty) and null ids are in no pair;
+Result of every_pair(), which op6 returns: (doc_id_a, doc_id_b, jaccard), doc_id_a < doc_id_b, for all rows: a pair
+of nodes gives all pairs of their texts, and a node all pairs within it. join() keeps the short form for keep_one():
+pairs of different sets between their representatives, and one pair of each further text of an equal set with its
+representative. Defined results: texts without words (null, empty) and null ids are in no pair;
 repeated rows of one id give no pair; further columns are ignored.
 """
 
@@ -36,6 +37,7 @@ from seqgrid.llm.common import byte_slices, cut, keyed_docs, load, mix, shingle_
 
 WIDTH, BANDS, ROWS, THRESHOLD = 3, 32, 3, 0.5
 BLOCK_TOKENS, BROADCAST_IDS = 4 << 20, 4 << 20
+BLOCK_IDS = 1024  # texts of one side of a pair of nodes that one row expands
 _RNG = np.random.default_rng(20240229)
 _MUL = _RNG.integers(1, 1 << 32, BANDS * ROWS, dtype=np.uint32) | np.uint32(1)
 _ADD = _RNG.integers(0, 1 << 32, BANDS * ROWS, dtype=np.uint32)
@@ -84,14 +86,14 @@ def signatures(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     return keyed_docs(docs).where("doc_id is not null").mapInArrow(run, "doc_id long, node long, n int, keys array<long>")
 
 
-def _matrix_join(threshold: float, spanning: bool):
+def _matrix_join(threshold: float, spanning: bool, key: str = "rep"):
     share = threshold / (1 + threshold)
 
     def open_group(table: pa.Table) -> pa.Table:
         member = table["member"].to_numpy(zero_copy_only=False)
         order = np.argsort(~member, kind="stable")
         m = int(member.sum())
-        rep = table["rep"].to_numpy()[order]
+        rep = table[key].to_numpy()[order]
         size = table["n"].to_numpy()[order].astype(np.int64)
         raw = table["tokens"].to_pylist()
         sets = [np.frombuffer(raw[i], np.uint64) for i in order]
@@ -148,10 +150,16 @@ def _matrix_join(threshold: float, spanning: bool):
 
 def join(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH, spanning: bool = False) -> tuple[DataFrame, DataFrame]:
     """The pairs, and (doc_id, node) of all rows with words. With spanning, only a spanning forest of each opened group."""
-    sig = cut(signatures(docs, width))
-    nodes = sig.groupBy("node").agg(F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.first("keys").alias("keys"))
+    pairs, sig = _pairs(docs, threshold, width, spanning)
     ids = sig.select("doc_id", "node").distinct()
     copies = ids.join(sig.groupBy("node").agg(F.min("doc_id").alias("rep"), F.max("doc_id").alias("most")).where("most > rep"), "node").where("doc_id <> rep").select(F.col("rep").alias("doc_id_a"), F.col("doc_id").alias("doc_id_b"), F.lit(1.0).alias("jaccard"))
+    return pairs.unionByName(copies), ids
+
+
+def _pairs(docs: DataFrame, threshold: float, width: int, spanning: bool = False, by: str = "rep") -> tuple[DataFrame, DataFrame]:
+    """The pairs of different sets, named by their representatives or, with by='node', by their nodes; and the signatures."""
+    sig = cut(signatures(docs, width))
+    nodes = sig.groupBy("node").agg(F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.first("keys").alias("keys"))
 
     buckets = cut(nodes.select("node", F.explode("keys").alias("key")).groupBy("key").agg(F.array_sort(F.collect_list("node")).alias("nodes")).where(F.size("nodes") > 1).select("nodes").distinct())
     seats = buckets.select(F.col("nodes")[0].alias("least"), F.explode("nodes").alias("node"))
@@ -170,8 +178,25 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH, span
         .unionByName(active.where("others is not null").select("node", F.explode("others").alias("g")).join(blocks, "g").select("node", "g", span(F.lit(0)).alias("block"), F.lit(False).alias("member")))
     )
     sets = _sets_of(docs, active.select("node", "rep"), width)
-    pairs = places.join(sets, "node").groupBy("g", "block").applyInArrow(_matrix_join(threshold, spanning), "doc_id_a long, doc_id_b long, jaccard double")
-    return pairs.unionByName(copies), ids
+    return places.join(sets, "node").groupBy("g", "block").applyInArrow(_matrix_join(threshold, spanning, by), "doc_id_a long, doc_id_b long, jaccard double"), sig
+
+
+def every_pair(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH) -> DataFrame:
+    """All pairs of texts. The texts of a node are listed once; BLOCK_IDS of one side with all of the other are a row that expands where it lands."""
+    pairs, sig = _pairs(docs, threshold, width, by="node")
+    ids = cut(sig.select("doc_id", "node").distinct())
+    of = ids.groupBy("node").agg(F.collect_list("doc_id").alias("texts"))
+    a, b = of.toDF("doc_id_a", "left"), of.toDF("doc_id_b", "right")
+    both = pairs.join(a, "doc_id_a").join(b, "doc_id_b").select("doc_id_a", "doc_id_b", "left", "right", "jaccard")
+    own = of.where(F.size("texts") > 1).select(F.col("node").alias("doc_id_a"), F.col("node").alias("doc_id_b"), F.col("texts").alias("left"), F.col("texts").alias("right"), F.lit(1.0).alias("jaccard"))
+    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    blocks = both.unionByName(own).withColumn("block", F.explode(F.sequence(F.lit(0), F.floor((F.size("left") - 1) / BLOCK_IDS).cast("int"))))
+    blocks = blocks.withColumn("left", F.slice("left", F.col("block") * BLOCK_IDS + 1, F.lit(BLOCK_IDS))).repartition(n, "doc_id_a", "doc_id_b", "block")
+    sides = blocks.withColumn("x", F.explode("left")).drop("left").withColumn("y", F.explode("right"))
+    out = sides.where("case when doc_id_a = doc_id_b then x < y else x <> y end").select(F.least("x", "y").alias("doc_id_a"), F.greatest("x", "y").alias("doc_id_b"), "jaccard")
+    if ids.groupBy("doc_id").count().where("count > 1").isEmpty():
+        return out
+    return out.groupBy("doc_id_a", "doc_id_b").agg(F.max("jaccard").alias("jaccard"))  # an id with several texts: its best pair
 
 
 def _sets_of(docs: DataFrame, active: DataFrame, width: int) -> DataFrame:
@@ -235,4 +260,4 @@ def keep_one(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH)
 
 
 def op6_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return join(load(spark, sf_dir, "documents"))[0]
+    return every_pair(load(spark, sf_dir, "documents"))

@@ -290,6 +290,18 @@ def test_jaccard_join_matches_all_pairs(spark, monkeypatch):
         assert all(abs(want[k] - v) < 1e-5 for k, v in got.items())
 
 
+def test_jaccard_query_lists_the_pairs_of_all_rows(spark, tmp_path, monkeypatch):
+    """Copies and near copies of them: op6 itself gives every pair, also where the copies fill several blocks."""
+    rng = random.Random(21)
+    text = prose(rng, 100)
+    near = text.replace(" ", " changed ", 1)
+    rows = [(k, text) for k in range(9)] + [(20 + k, near) for k in range(3)] + [(40, prose(rng, 80)), (40, text), (None, text)]
+    docs(spark, rows).write.parquet(f"{tmp_path}/documents.parquet")
+    monkeypatch.setattr(jaccard, "BLOCK_IDS", 4)
+    got = [(r.doc_id_a, r.doc_id_b) for r in jaccard.op6_ngram_jaccard_join(spark, str(tmp_path)).collect()]
+    assert len(got) == len(set(got)) and set(got) == set(itertools.combinations([*range(9), 20, 21, 22, 40], 2))
+
+
 def test_jaccard_groups_keep_one(spark):
     rows = near_rows(13) + EDGE
     want = brute_pairs(rows, 0.5)
