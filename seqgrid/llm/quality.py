@@ -4,6 +4,7 @@ Six-byte filters slide over the raw UTF-8 bytes in steps of two. Overlapping chu
 cover the whole text; each chunk keeps the maximum of every filter (max pooling), and the mean and the maximum
 of the rectified chunk values over all chunks feed one logistic output: ``p_quality``.
 
+The good class is quality 1 without the label toxic; a document labelled toxic is a reject whatever its quality.
 Training uses at most ``train_per_class`` labelled documents of each class (the documented bound), taken by
 least hash of the id, in one executor task; nothing of it depends on the size of the corpus. Scoring is one
 map over the documents: no shuffle. Because a filter starts at even offsets only, two neighbouring taps fold
@@ -157,13 +158,14 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 14, seed: int = 7,
 
 def train(docs: DataFrame, labels: DataFrame, train_per_class: int = TRAIN_PER_CLASS) -> ByteCNN:
     """Fit on a sample of at most 2 x train_per_class labelled documents; the ids are broadcast, and bounded."""
-    lab = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where("doc_id is not null and quality in (0, 1)").dropDuplicates(["doc_id"])
-    pick = [lab.where(F.col("quality") == q).orderBy(F.xxhash64("doc_id"), "doc_id").limit(train_per_class) for q in (0, 1)]
+    toxic = F.coalesce(F.col("toxic").cast("int"), F.lit(0)) if "toxic" in labels.columns else F.lit(0)
+    lab = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.when(toxic == 1, 0).otherwise(F.col("quality").cast("int")).alias("good")).where("doc_id is not null and good in (0, 1)").groupBy("doc_id").agg(F.min("good").alias("good"))
+    pick = [lab.where(F.col("good") == q).orderBy(F.xxhash64("doc_id"), "doc_id").limit(train_per_class) for q in (0, 1)]
     sample = keyed_docs(docs).where("length(text) > 0").join(F.broadcast(pick[0].unionByName(pick[1])), "doc_id")
 
     def task(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["doc_id", "text"]).drop_duplicates("doc_id")
-        return pd.DataFrame({"model": [fit([t.encode() for t in pdf["text"]], pdf["quality"].to_numpy()).dump()]})
+        return pd.DataFrame({"model": [fit([t.encode() for t in pdf["text"]], pdf["good"].to_numpy()).dump()]})
 
     rows = sample.groupBy(F.lit(0).alias("all")).applyInPandas(task, "model binary").collect()
     return ByteCNN.load(rows[0]["model"]) if rows else ByteCNN.constant(0.5)

@@ -355,6 +355,20 @@ def test_classifier_learns_and_covers_the_whole_text(spark):
     assert got[1].p_quality == got[2].p_quality == 0 and not got[1].accepted and len(got) == len({i for i, _ in EDGE})
 
 
+def test_classifier_rejects_toxic_documents_of_good_quality(spark):
+    rng = random.Random(22)
+    rows, labels = [], []
+    for i in range(400):
+        words, toxic = prose(rng, 60).split(" "), i % 4 == 0
+        for _ in range(3 * toxic):
+            words.insert(rng.randrange(len(words)), rng.choice(["xquorgh", "zzvark"]))
+        rows.append((i, " ".join(words)))
+        labels.append((i, 1, int(toxic)))
+    labels = spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    got = {r.doc_id: r.accepted for r in quality.score(docs(spark, rows[300:]), quality.train(docs(spark, rows[:300]), labels)).collect()}
+    assert sum(got[i] for i in got if i % 4 == 0) <= 2 and sum(not got[i] for i in got if i % 4) <= 4
+
+
 def test_classifier_direct_convolution():
     rng = np.random.default_rng(15)
     w = rng.normal(size=(quality.TAPS, 256, 3)).astype(np.float32)
