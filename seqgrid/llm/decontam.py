@@ -3,13 +3,16 @@
 1. *Passages.* Benchmark items are cut in passages of PASSAGE words; a document is read in windows of twice that, one
    passage apart, so every passage-long stretch lies whole in some window.
 2. *TF-IDF.* Document frequencies of the benchmark's words are counted over all documents; words in more than
-   MAX_DF of them weigh nothing.
+   MAX_DF of them weigh nothing in the retrieval of step 4; step 5 counts them like any other.
 3. *Randomised SVD.* Gaussian range finder with power iterations over the passages' TF-IDF rows, in chunks of
    RANK passages, one executor task for each chunk. The basis is that of the benchmark: in a basis of the corpus the
    rare words by which a passage is known fall outside any affordable rank, and their cosines say nothing.
 4. *Search.* Every window is folded into the basis; windows of cosine >= MIN_COSINE that also cover MIN_COVER of the
    passage's own weight are candidates.
-5. *Checks.* Longest common subsequence of words (bit-parallel), as a share of the passage: at least LCS_SURE is a
+5. *Overlap.* So is every window whose words fill at least LCS_SURE of the passage's places (all places of a short
+   item), whatever they weigh. No common subsequence is longer than this overlap, so no leak of LCS_SURE is missed
+   because it is widespread or made of common words. The answer's weaker rule in step 6 is for candidates of step 4.
+6. *Checks.* Longest common subsequence of words (bit-parallel), as a share of the passage: at least LCS_SURE is a
    leak; from LCS_MAYBE on, it is one when the answer (the item's last ANSWER words) is common to ANSWER_SHARE.
 
 All texts are read twice, by two maps without a shuffle of text. What is broadcast is the model of up to MODELS
@@ -160,6 +163,37 @@ def judge(item: np.ndarray, answer: np.ndarray, window: np.ndarray) -> tuple[flo
     return share, told, share >= LCS_SURE or told >= ANSWER_SHARE
 
 
+def _places(items: list[np.ndarray], vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """In how many places of each item each word stands (PASSAGE at most), the most in any item, and the places that a leak must fill."""
+    places = np.zeros((len(vocab), len(items)), np.uint8)
+    for j, w in enumerate(items):
+        np.add.at(places, (np.searchsorted(vocab, w), j), 1)
+    need = np.array([len(w) if len(w) < MIN_WORDS else np.ceil(LCS_SURE * len(w) - 1e-9) for w in items])
+    return places, places.max(axis=1).astype(np.int64), need
+
+
+def _windows(block: np.ndarray, f: np.ndarray, first: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct words of each window (a block with a known word and the next of the same text): windows, words, and where each window's words begin."""
+    pair = np.unique(block * n + f)
+    at = pair // n
+    before = pair[~np.isin(at, first)] - n
+    both = np.unique(np.concatenate([pair, before[np.isin(before // n, at)]]))
+    windows, edge = np.unique(both // n, return_index=True)
+    return windows, both % n, edge
+
+
+def _overlapping(windows: np.ndarray, words: np.ndarray, edge: np.ndarray, places: np.ndarray, most: np.ndarray, need: np.ndarray) -> list[tuple[int, int]]:
+    """(window, item) where the window's words fill the places that the item needs."""
+    ok = np.add.reduceat(most[words], edge) >= need.min()
+    if not ok.any():
+        return []
+    size = np.diff(np.append(edge, len(words)))
+    mine = words[np.repeat(ok, size)]
+    begin = np.concatenate([[0], np.cumsum(size[ok])[:-1]])
+    w, j = np.nonzero(np.add.reduceat(places[mine], begin, axis=0) >= need)
+    return list(zip(windows[ok][w].tolist(), j.tolist()))
+
+
 def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, bases: list[dict]) -> DataFrame:
     items = [np.frombuffer(r["words"], np.uint64) for r in rows]
     answers = [np.frombuffer(r["answer"], np.uint64) for r in rows]
@@ -177,6 +211,7 @@ def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, bases: list[di
             local[used] = np.arange(len(used))
             place = np.frombuffer(b["place"], np.float32).reshape(-1, b["rank"])
             models.append((local, np.frombuffer(b["basis"], np.float32).reshape(-1, b["rank"]), place, np.linalg.norm(place, axis=1), np.frombuffer(b["row"], np.int64)))
+        overlaps = [_places([items[i] for i in m[4]], vocab) for m in models]
         for batch in batches:
             for part, buf, offs in byte_slices(batch):
                 _, _, h, doc = word_table(buf, offs)
@@ -188,8 +223,11 @@ def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, bases: list[di
                 n_blocks = -(-counts // PASSAGE)
                 block0 = np.concatenate([[0], np.cumsum(n_blocks)])
                 hit_block = block0[doc[at]] + (at - first[doc[at]]) // PASSAGE
-                found = []
-                for local, basis, place, norm, row in models:
+                found, kept = [], []
+                windows, words, edge = _windows(hit_block, f, block0, len(vocab))
+                for (local, basis, place, norm, row), (places, most, need) in zip(models, overlaps):
+                    near = _overlapping(windows, words, edge, places, most, need)
+                    found += [(w, row[j], 0.0) for w, j in near]
                     mine = local[f] >= 0
                     if not mine.any():
                         continue
@@ -206,12 +244,23 @@ def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, bases: list[di
                     zn = np.maximum(np.linalg.norm(z, axis=1), 1e-9)
                     w, p = np.nonzero((dots >= MIN_COSINE * zn[:, None] * norm[None, :]) & (dots >= MIN_COVER * norm[None, :] ** 2) & (norm[None, :] > 0))
                     found += [(touched[i], row[j], float(dots[i, j] / zn[i] / norm[j])) for i, j in zip(w, p)]
+                    kept += [(touched[i], row[j]) for i, j in zip(w, p)]
+                    # the cosine of what only the overlap found
+                    if near:
+                        row_of = {int(x): i for i, x in enumerate(touched)}
+                        known_at = [(row_of[int(w)], int(w), j) for w, j in near if int(w) in row_of and norm[j] > 0]
+                        found += [(w, row[j], float(dots[i, j] / zn[i] / norm[j])) for i, w, j in known_at]
+                retrieved = {(int(b), int(j)) for b, j in kept}
+                cosine: dict[tuple[int, int], float] = {}
+                for b, j, cos in found:
+                    cosine[int(b), int(j)] = max(cos, cosine.get((int(b), int(j)), cos))
+                found = [(b, j, cos) for (b, j), cos in cosine.items()]
                 best: dict[tuple[int, int], tuple] = {}
                 for b, j, cos in found:
                     d = int(np.searchsorted(block0, b, side="right")) - 1
                     lo = first[d] + (b - block0[d]) * PASSAGE
                     share, told, leak = judge(items[j], answers[j], h[lo : min(lo + 2 * PASSAGE, first[d + 1])])
-                    if leak:
+                    if leak and (share >= LCS_SURE or (b, j) in retrieved):
                         key, new = (d, item_ids[j]), (round(share, 4), round(told, 4), round(cos, 4), -int(numbers[j]), -int(lo - first[d]))
                         if key not in best or new > best[key]:
                             best[key] = new
@@ -240,8 +289,6 @@ def find(docs: DataFrame, benchmark: DataFrame, rank: int = RANK) -> DataFrame:
         vocab = np.unique(np.concatenate([np.frombuffer(r["words"], np.uint64) for r in rows]))
         df, n_docs = document_frequencies(docs, vocab)
         idf = np.where(df <= max(MAX_DF * n_docs, 1), np.log((n_docs + 1) / (df + 1)), 0.0)
-        if n_docs and not idf.any():
-            idf = np.log((n_docs + 1) / (df + 1)) + 1e-3  # too few documents for a cutoff
         part = spark.createDataFrame([(i, i // RANK, r["item_id"], r["passage"], bytes(r["words"])) for i, r in enumerate(rows)], "row long, chunk int, item_id long, passage int, words binary")
         hits = _search(docs, rows, vocab, fit_bases(part, vocab, idf, rank))
         out = hits if k == 0 else out.unionByName(hits)

@@ -174,6 +174,16 @@ def test_decontamination(spark):
     assert decontam.find(docs(spark, rows), bench.limit(0)).count() == 0 and decontam.find(docs(spark, []), bench).count() == 0
 
 
+def test_widespread_leaks_are_found(spark):
+    """A passage in far more than MAX_DF of the documents, and one of which only a part is so widespread."""
+    rng = random.Random(23)
+    items = [(i, prose(rng, 40)) for i in range(3)]
+    part = " ".join(items[1][1].split()[:32])
+    rows = [(i, prose(rng, 200) + " " + {0: items[0][1], 1: part}.get(i % 4, "") + " " + prose(rng, 90)) for i in range(24)]
+    got = {(r.doc_id, r.item_id) for r in decontam.find(docs(spark, rows), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got == {(i, i % 4) for i in range(24) if i % 4 < 2}
+
+
 # ---- cross-parsing ----
 
 
