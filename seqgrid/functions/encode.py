@@ -66,15 +66,19 @@ def quantile_cuts(points: DataFrame, k: int, exact: bool = False, column: str =
 def ordered_ids(df: DataFrame, column: str, weight: str | None = None, name: str = "id") -> DataFrame:
     """Dense ids from 0 in the order of a column (and running sums 'upto' of a weight), without a one-partition window.
 
-    Rows are range-partitioned; the sizes of the partitions before a row's own, one number each, are broadcast back.
+    Rows are range-partitioned; the sizes of the partitions before a row's own, one number each, go over the driver.
     """
     sort = _ranged(df, column)
     w = Window.partitionBy("_p").orderBy(column)
     inner = sort.withColumn("_r", F.row_number().over(w) - 1)
     inner = inner.withColumn("_u", F.sum(weight).over(w.rowsBetween(Window.unboundedPreceding, 0))) if weight else inner
-    sizes = inner.groupBy("_p").agg(F.count(F.lit(1)).alias("_n"), *([F.max("_u").alias("_w")] if weight else []))
-    before = sizes.alias("a").join(sizes.alias("b"), F.col("b._p") < F.col("a._p"), "left").groupBy("a._p").agg(F.coalesce(F.sum("b._n"), F.lit(0)).alias("_o"), *([F.coalesce(F.sum("b._w"), F.lit(0)).alias("_ow")] if weight else []))
-    out = inner.join(F.broadcast(before), "_p").withColumn(name, (F.col("_o") + F.col("_r")).cast("long"))
+    sizes = sort.groupBy("_p").agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(weight) if weight else F.lit(0), F.lit(0)).cast("long").alias("w"))
+    before, rows, mass = [], 0, 0
+    for r in sorted(sizes.collect(), key=lambda r: r["_p"]):  # one row for each partition
+        before.append((r["_p"], rows, mass))
+        rows, mass = rows + r["n"], mass + r["w"]
+    offsets = df.sparkSession.createDataFrame(before, "_p int, _o long, _ow long")
+    out = inner.join(F.broadcast(offsets), "_p").withColumn(name, (F.col("_o") + F.col("_r")).cast("long"))
     if weight:
         out = out.withColumn("upto", (F.col("_ow") + F.col("_u")).cast("long"))
     return out.drop("_p", "_r", "_u", "_o", "_ow")
@@ -84,7 +88,9 @@ def _ranged(df: DataFrame, column: str) -> DataFrame:
     """Range-partitioned rows with their partition's number _p, in the shared folder: bounds come from a sample, which another run of the same plan could draw otherwise."""
     from seqgrid.sources.persist import cut
 
-    return cut(df.repartitionByRange(column).withColumn("_p", F.spark_partition_id()))
+    ranged = cut(df.repartitionByRange(column).withColumn("_p", F.spark_partition_id()))
+    # a checkpoint keeps its input's column ids; fresh ones let it be joined to what it came from
+    return ranged.select(*[F.col(c).alias(c) for c in ranged.columns])
 
 
 def asof(left: DataFrame, right: DataFrame, key: str, value: str) -> DataFrame:
@@ -96,8 +102,11 @@ def asof(left: DataFrame, right: DataFrame, key: str, value: str) -> DataFrame:
     both = left.select(F.col(key), F.lit(None).cast(right.schema[value].dataType).alias(value), F.lit(1).alias("_side")).unionByName(right.where(F.col(value).isNotNull()).select(F.col(key), F.col(value), F.lit(0).alias("_side")))
     rows = _ranged(both, key)
     w = Window.partitionBy("_p").orderBy(key, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    ends = rows.where("_side = 0").groupBy("_p").agg(F.max_by(value, key).alias("_v"))
-    parts = rows.select("_p").distinct()
-    before = parts.alias("a").join(ends.alias("b"), F.col("b._p") < F.col("a._p")).groupBy(F.col("a._p").alias("_p")).agg(F.max_by("b._v", "b._p").alias("_before"))
+    ends = rows.groupBy("_p").agg(F.max_by(value, F.when(F.col("_side") == 0, F.col(key))).alias("_v"))
+    before, last = [], None
+    for r in sorted(ends.collect(), key=lambda r: r["_p"]):  # one row for each partition
+        before.append((r["_p"], last))
+        last = r["_v"] if r["_v"] is not None else last
+    before = left.sparkSession.createDataFrame(before, f"_p int, _before {right.schema[value].dataType.simpleString()}")
     out = rows.withColumn(value, F.last(value, ignorenulls=True).over(w)).where("_side = 1").join(F.broadcast(before), "_p", "left")
     return out.select(key, F.coalesce(value, "_before").alias(value))

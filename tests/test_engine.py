@@ -309,3 +309,22 @@ def test_assignment(spark):
     got = assign.nearest(g, p.where("s >= 14")).collect()
     assert len(got) == 6 and all(r["part"] == r["s"] % 2 for r in got)
     assert {tuple(r) for r in assign.unseen(g, p.where("s >= 14")).collect()} == {("S", str(s)) for s in range(14, 20)}
+
+
+@pytest.mark.parametrize("aqe", ["true", "false"])
+def test_grids_of_laid_points_with_ordered_ids(spark, aqe):
+    """finest, coarse_grid and dictionary take points whose lineage they join back to."""
+    before = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", aqe)
+    try:
+        g = grid_of(spark, seed=12)
+        p = g.laid.select("s", "t", "e", "n")
+        fine = grid.finest(p)
+        h = fine.shape()
+        assert (h.kS, h.kE) == (h.n, h.a) and score.cost(fine) == pytest.approx(score.finest_cost(p))
+        assert fine.t_parts.where("t_lo <> t_hi").count() == 0
+        coarse = fits.coarse_grid(persist.cut(p), cap=6)
+        assert coarse.cells.agg(F.sum("n")).first()[0] == h.N
+        assert [r["id"] for r in points.dictionary(p, "t").orderBy("value").collect()] == list(range(h.kT))
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", before)
