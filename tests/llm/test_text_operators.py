@@ -210,35 +210,83 @@ def brute_own(z):
 def test_cross_parsing_matches_substring_search():
     rng = np.random.default_rng(9)
     for _ in range(40):
-        r, z = (bytes(rng.integers(0, 5, n, dtype=np.uint8)) for n in (rng.integers(1, 300), rng.integers(1, 200)))
-        z = z.replace(b"\x04", b"\x3f")
-        assert lm_score.SuffixAutomaton(r).phrases(z) == brute_phrases(z, r)
-        assert lm_score.own_phrases(z) == brute_own(z)
+        r, z = (rng.integers(0, 5, n).tolist() for n in (rng.integers(1, 300), rng.integers(1, 200)))
+        z = [9 if x == 4 else x for x in z]
+        starts = lm_score.SuffixAutomaton(r).match_starts(z)
+        assert starts == sorted(starts) and lm_score.factor(starts) == brute_phrases(bytes(z), bytes(r))
+        assert lm_score.own_phrases(z, 10) == brute_own(bytes(z))
 
 
-def test_lm_scores(spark):
+def corpus_for_scores():
     rng = random.Random(10)
-    rows = EDGE + [(20 + i, prose(rng, 120)) for i in range(40)] + [(900, "zzzz qqqq " * 60)]
-    labels = spark.createDataFrame([(20 + i, 1, 0) for i in range(40)] + [(900, 0, 0), (None, 1, 0)], "doc_id long, quality int, toxic int")
-    got = lm_score.score(clashing(docs(spark, rows)), labels).toPandas()
+    shared = prose(rng, 300)
+    rows = [(20 + i, prose(rng, 120)) for i in range(40)]
+    rows += [(100, rows[5][1]), (101, prose(rng, 40) + " " + shared + " " + prose(rng, 40)), (102, prose(rng, 60) + " " + shared), (103, "zzzz qqqq " * 60), (104, "zzzz qqqq " * 60 + "end"), (105, "日本語の文章 abc 日本"), (105, "日本語の文章 abc 日本")]
+    return rows
+
+
+def brute_scores(rows, shard_bytes=None):
+    """phrases by (id, text): substring search in all other documents of the corpus."""
+    out = {}
+    texts = {}
+    for i, t in set(rows):
+        raw = np.frombuffer(t.encode(), np.uint8)
+        texts[i, t] = lm_score.words(raw, np.array([0, len(raw)]))[0].tolist()
+    for k, z in texts.items():
+        grams = [tuple(v) for j, v in texts.items() if j != k]
+        text = "|".join("_" + "_".join(map(str, g)) + "_" for g in grams)
+        i = count = 0
+        while i < len(z):
+            m = 0
+            while i + m < len(z) and "_".join(["", *map(str, z[i : i + m + 1]), ""]) in text:
+                m += 1
+            i, count = i + max(m, 1), count + 1
+        out[k] = count
+    return out
+
+
+def test_lm_scores(spark):
+    rows = EDGE + corpus_for_scores()
+    got = lm_score.score(clashing(docs(spark, rows))).toPandas()
     assert len(got) == len(rows)
     by = got.set_index("doc_id")
     assert by.loc[[1, 2, 3]].cross_entropy.isna().all()
-    plain = by.loc[[20 + i for i in range(40)]]
-    assert plain.cross_entropy.notna().all()
-    z = lm_score.symbols(dict(rows)[25])
-    assert by.loc[25].cross_entropy == pytest.approx(by.loc[25].phrases * math.log2(len(z)) / len(z), abs=1e-5)
-    assert by.loc[900].divergence > plain.divergence.mean()
-    assert lm_score.score(docs(spark, rows), labels.limit(0)).where("cross_entropy is not null").count() == 0
-    assert lm_score.score(docs(spark, []), labels).count() == 0
-
-
-def test_reference_excludes_the_scored_document(spark):
-    """A unique document that is itself reference text must not be found whole."""
-    rng = random.Random(11)
-    rows = [(i, prose(rng, 150)) for i in range(30)]
-    labels = spark.createDataFrame([(i, 1, 0) for i in range(30)], "doc_id long, quality int, toxic int")
-    assert lm_score.score(docs(spark, rows), labels).where("phrases < 20").count() == 0
+    assert by.loc[list(range(20, 60))].cross_entropy.notna().all()
+    assert by.loc[105].phrases.nunique() == 1 and by.loc[25].phrases == by.loc[100].phrases == 1
+    n = by.loc[26].n_words
+    assert by.loc[26].cross_entropy == pytest.approx(by.loc[26].phrases * math.log2(n) / n, abs=1e-5)
+    assert by.loc[26].divergence == pytest.approx((by.loc[26].phrases * math.log2(n) - by.loc[26].own_phrases * math.log2(by.loc[26].own_phrases)) / n, abs=1e-5)
+    assert lm_score.score(docs(spark, [])).count() == 0
+    assert lm_score.score(docs(spark, [(1, "one document alone")])).first()["phrases"] is None
+
+
+def test_lm_scores_against_all_other_documents(spark):
+    """Never fewer phrases than a search in the whole corpus finds, and few more; long repeats in another shard are found."""
+    rows = corpus_for_scores()
+    brute = {k[0]: v for k, v in brute_scores(rows).items()}
+    for shard_bytes in (1 << 23, 4000):
+        got = {r["doc_id"]: r["phrases"] for r in lm_score.score(docs(spark, rows), shard_bytes).collect() if r["phrases"] is not None}
+        assert all(v >= brute[k] for k, v in got.items())
+        assert got[25] == got[100] == 1
+        assert got[101] <= 80 + 34 + 5 and got[102] <= 60 + 34 + 5  # the shared passage but for a chunk at each end
+    assert sum(got.values()) <= 1.6 * sum(brute[k] for k in got)
+
+
+def test_chunks_stand_where_the_words_say(spark):
+    rng = random.Random(3)
+    text = prose(rng, 400)
+    two = [prose(rng, 30) + " " + text, text]
+    raw = [np.frombuffer(t.encode(), np.uint8) for t in two]
+    every = []
+    for r in raw:
+        h, doc = lm_score.words(r, np.array([0, len(r)]))
+        every.append(set(lm_score.chunk_hashes(h, lm_score.chunk_starts(h, doc)).tolist()))
+    assert len(every[0] & every[1]) >= len(every[1]) - 1
+    both = np.concatenate(raw)
+    h, doc = lm_score.words(both, np.array([0, len(raw[0]), len(both)]))
+    start = lm_score.chunk_starts(h, doc)
+    value = lm_score.chunk_hashes(h, start)
+    assert set(value[doc[start] == 0].tolist()) == every[0] and set(value[doc[start] == 1].tolist()) == every[1]
 
 
 # ---- chat ----
