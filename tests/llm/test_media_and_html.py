@@ -89,42 +89,95 @@ def page(title, items, body):
     return f"<!DOCTYPE html><html><head><title>{title}</title><script>var a='<p>';</script></head><body><ul>{lis}</ul><div class=main><h1>{title}</h1><p>{body}</p></div><!-- c --><footer>All rights</footer></body></html>"
 
 
-def test_template_and_slots():
-    pages = [page(f"title{i}", [f"n{i}{k}" for k in range(i % 3 + 1)], f"text{i} more{i}&amp;co{i}") for i in range(12)]
-    rows = H.extract([H.tokens(p) for p in pages])
-    for i in range(12):
-        mine = [r[1:] for r in rows if r[0] == i]
-        values = [v for _, _, v in mine]
-        assert values == [f"title{i}", *[f"n{i}{k}" for k in range(i % 3 + 1)], f"title{i}", f"text{i} more{i}&co{i}"]
-        assert [n for s, n, _ in mine if "li/a" in s] == list(range(i % 3 + 1))
-
-
-def brute_classes(role, page, n_pages):
-    """Groups of roles with equal count vectors, in plain Python."""
-    vec = {}
-    for r, p in zip(role, page):
-        vec.setdefault(r, [0] * n_pages)[p] += 1
+def brute_template(pages):
+    """Roles of valid classes from count vectors over all pages, with positions, in plain Python."""
+    n = len(pages)
+    vec, at = {}, {}
+    for i, p in enumerate(pages):
+        for k, r in enumerate(p[0]):
+            vec.setdefault(r, [0] * n)[i] += 1
+            at.setdefault((r, i), []).append(k)
     groups = {}
     for r, v in vec.items():
-        groups.setdefault(tuple(v), set()).add(r)
-    return {frozenset(g) for v, g in groups.items() if len(g) >= 2 and sum(x > 0 for x in v) >= max(2, n_pages / 2)}
+        groups.setdefault(tuple(v), []).append(r)
+    groups = [(v, g) for v, g in groups.items() if len(g) >= 2 and sum(x > 0 for x in v) >= H.need(n)] if n >= H.MIN_PAGES else []
+    spans = {}
+    kept = []
+    for v, g in groups:
+        first = next(i for i in range(n) if v[i])
+        order = sorted(g, key=lambda r: at[r, first][0])
+        reps, good = [], True
+        for i in range(n):
+            for q in range(v[i]):
+                places = [at[r, i][q] for r in order]
+                good &= places == sorted(places) and (q + 1 >= v[i] or places[-1] < at[order[0], i][q + 1])
+                reps.append((i, places))
+        if good:
+            spans[tuple(order)] = reps
+            kept.append((v, order))
+    kept.sort(key=lambda x: (-sum(y > 0 for y in x[0]), -len(x[1]), x[1][0]))
+
+    def breaks(a, b):  # a token of b inside a repetition of a
+        return any(i == j and any(x[0] < y < x[-1] for y in z) for i, x in spans[tuple(a)] for j, z in spans[tuple(b)])
+
+    out = []
+    for _, g in kept:
+        if not any(breaks(g, o) and breaks(o, g) for o in out):
+            out.append(g)
+    return frozenset(r for g in out for r in g)
+
+
+def brute_rows(rows):
+    """(page_id, host, slot, instance, value) of (page_id, host, html)."""
+    out = []
+    for host in {h for _, h, _ in rows}:
+        mine = [(i, H.tokens(x)) for i, h, x in rows if h == host]
+        template = brute_template([t for _, t in mine])
+        out += [(i, host, *r) for i, t in mine for r in H.fill(*t, template)]
+    return sorted(out, key=str)
+
+
+def layouts(n):
+    """Pages of two layouts, the second of one page in six."""
+    out = []
+    for i in range(n):
+        words = " ".join(f"w{(i * 7 + k * k) % 23}" for k in range(12))
+        if i % 6 == 5:
+            out.append(f"<html><body><table><tr><td>Name</td><td>n{i}</td></tr><tr><td>Price</td><td>{words}</td></tr></table><footer>Shop terms</footer></body></html>")
+        else:
+            out.append(page(f"T{i}", [f"x{i}{k}" for k in range(i % 3)], words))
+    return out
+
+
+def test_template_and_slots(spark):
+    pages = [page(f"title{i}", [f"n{i}{k}" for k in range(i % 3 + 1)], f"text{i} more{i}&amp;co{i}") for i in range(12)]
+    got = H.extract_pages(spark.createDataFrame([(i, "http://a.example/x", p) for i, p in enumerate(pages)], "page_id long, url string, html string")).collect()
+    for i in range(12):
+        mine = [r for r in got if r.page_id == i]
+        assert [r.value for r in mine] == [f"title{i}", *[f"n{i}{k}" for k in range(i % 3 + 1)], f"title{i}", f"text{i} more{i}&co{i}"]
+        assert [r.instance for r in mine if "li/a" in r.slot] == list(range(i % 3 + 1))
 
 
-def test_classes_match_count_vectors():
-    pages = [H.tokens(page(f"t{i}", [f"n{k}" for k in range(i % 4 + 1)], f"b{i}")) for i in range(10)]
-    number = {}
-    role = np.array([number.setdefault(r, len(number)) for p in pages for r in p[0]])
-    where = np.repeat(np.arange(10), [len(p[0]) for p in pages])
-    got = {frozenset(c.tolist()) for c in H.classes(role, where, len(number), 10)}
-    want = brute_classes(role.tolist(), where.tolist(), 10)
-    # what isn't valid is dropped: one order in each repetition, and nesting
-    assert got <= want and any(len(c) > 8 for c in got) and len(want - got) <= 1
+def test_extraction_matches_brute_force(spark):
+    """Small hosts, and a hot host of many blocks with a layout of few pages: the template is that of all pages."""
+    rows = [(i, "hot.example", x) for i, x in enumerate(layouts(150))] + [(1000 + i, f"h{i % 4}.example", x) for i, x in enumerate(layouts(36))]
+    df = spark.createDataFrame([(i, f"http://{h}/{i}", x) for i, h, x in rows], "page_id long, url string, html string")
+    want = brute_rows(rows)
+    for blocks in (16, 512):
+        assert sorted((tuple(r) for r in H.extract_pages(df, blocks).collect()), key=str) == want
+    assert any(s == "html/body/table/tr/td|Price" or s.startswith("html/body/table/tr/td") and v == "n5" for _, h, s, _, v in want if h == "hot.example")
 
 
-def test_unordered_class_is_invalid():
-    role = np.array([0, 1, 2, 3, 1, 0, 2, 3, 0, 1, 2, 3])  # 0 and 1 swap on the second page
-    page_ = np.repeat([0, 1, 2], 4)
-    assert H.classes(role, page_, 4, 3) == []
+def test_unordered_and_crossing_classes_are_reported():
+    out = set()
+    where = {"a": (0, 0), "b": (0, 1), "x": (1, 0), "y": (1, 1)}
+    H.violations(list("axyb"), where, [2, 2], out)
+    assert out == {(0, 1)}
+    H.violations(list("axby"), where, [2, 2], out)
+    assert out == {(0, 1), (1, 0)}
+    H.violations(list("ba"), where, [2, 2], out)
+    assert (0, 0) in out and H.valid([["a", "b"], ["x", "y"]], {(0, 1), (1, 0)}) == ["a", "b"]
+    assert H.valid([["a", "b"], ["x", "y"]], {(0, 1), (0, 0)}) == ["x", "y"]
 
 
 def test_html_edges(spark):
@@ -140,10 +193,3 @@ def test_html_edges(spark):
     assert sorted(of[100]) == sorted(["T0", "x0", "T0", "B0"] * 2) and of[103] == ["T3", "x3", "T3", "B3"]
     assert {r.host for r in got if r.page_id == 101} == {"a.example"}
     assert H.extract_pages(df.limit(0)).count() == 0
-
-
-def test_blocks_of_a_hot_host(spark):
-    rows = [(i, "http://hot.example/", page(f"T{i}", ["x"] * (i % 2 + 1), f"B{i}")) for i in range(60)]
-    df = spark.createDataFrame(rows, "page_id long, url string, html string")
-    got = {(r.page_id, r.value) for r in H.extract_pages(df, block_pages=16).collect()}
-    assert got == {(r.page_id, r.value) for r in H.extract_pages(df).collect()} and (7, "B7") in got
