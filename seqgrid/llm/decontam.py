@@ -2,21 +2,22 @@
 
 1. *Passages.* Benchmark items are cut in passages of PASSAGE words; a document is read in windows of twice that, one
    passage apart, so every passage-long stretch lies whole in some window.
-2. *TF-IDF.* Document frequencies of the benchmark's words are counted over all documents; words in more than
-   MAX_DF of them weigh nothing in the retrieval of step 4; step 5 counts them like any other.
-3. *Randomised SVD.* Gaussian range finder with power iterations over the passages' TF-IDF rows, in chunks of
-   RANK passages, one executor task for each chunk. The basis is that of the benchmark: in a basis of the corpus the
-   rare words by which a passage is known fall outside any affordable rank, and their cosines say nothing.
-4. *Search.* Every window is folded into the basis; windows of cosine >= MIN_COSINE that also cover MIN_COVER of the
-   passage's own weight are candidates.
+2. *TF-IDF.* Document frequencies of the benchmark's words are counted over all documents, by one scan. The weight is a
+   smoothed inverse document frequency, small for common words but never nothing.
+3. *Randomised SVD.* One basis of RANK directions (fewer than half of the passages) for all passages: subspace iteration
+   from a Gaussian sketch, POWER times. Each product is a distributed one over the table of passages: a task multiplies
+   its rows, partial sums are added up by blocks of the vocabulary, and only the thin (words x directions) matrix, which
+   does not grow with the corpus, reaches the driver to be made orthogonal.
+4. *Search.* Every window is folded into the basis; windows of cosine >= MIN_COSINE with a passage, that can hold
+   LCS_MAYBE of its words (no common subsequence is longer than the overlap of words), are candidates.
 5. *Overlap.* So is every window whose words fill at least LCS_SURE of the passage's places (all places of a short
-   item), whatever they weigh. No common subsequence is longer than this overlap, so no leak of LCS_SURE is missed
-   because it is widespread or made of common words. The answer's weaker rule in step 6 is for candidates of step 4.
+   item), whatever they weigh. No common subsequence is longer than this overlap, so no leak of LCS_SURE is missed,
+   whatever its cosine. The answer's weaker rule in step 6 is for candidates of step 4.
 6. *Checks.* Longest common subsequence of words (bit-parallel), as a share of the passage: at least LCS_SURE is a
    leak; from LCS_MAYBE on, it is one when the answer (the item's last ANSWER words) is common to ANSWER_SHARE.
 
-All texts are read twice, by two maps without a shuffle of text. What is broadcast is the model of up to MODELS
-chunks; a larger benchmark takes further passes over the documents, never a larger broadcast.
+All texts are read twice, by two maps without a shuffle of text. What is broadcast is the model and the words of up to
+PASS passages; a larger benchmark takes further search passes over the documents, of at most PASS passages each.
 
 Result of find(): one row (doc_id, item_id, cosine, lcs, answer, passage, position) for each leak of an item in a
 document, its best window. Defined results: null or empty texts match nothing, items without words are ignored,
@@ -29,15 +30,15 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from seqgrid.llm.common import byte_slices, cut, keyed_docs, load, signed, word_table
+from seqgrid.llm.common import byte_slices, cut, keyed_docs, load, mix, word_table
 
-PASSAGE, MAX_DF, RANK, MODELS = 64, 0.1, 256, 8
-MIN_COSINE, MIN_COVER, LCS_SURE, LCS_MAYBE, ANSWER, ANSWER_SHARE, MIN_WORDS = 0.3, 0.3, 0.7, 0.5, 6, 0.8, 8
+PASSAGE, RANK, OVERSAMPLE, POWER, PASS = 64, 64, 16, 2, 2048
+MIN_COSINE, LCS_SURE, LCS_MAYBE, ANSWER, ANSWER_SHARE, MIN_WORDS = 0.3, 0.7, 0.5, 6, 0.8, 8
+BLOCK_WORDS = 4096
 BROADCAST_IDS = 4 << 20
 _BITS = 20
 
@@ -107,35 +108,77 @@ def document_frequencies(docs: DataFrame, vocab: np.ndarray) -> tuple[np.ndarray
     return out, n
 
 
-def randomised_svd(rows: np.ndarray, rank: int, oversample: int = 16, power: int = 2, seed: int = 11) -> tuple[np.ndarray, np.ndarray]:
-    """(right singular vectors as columns, singular values) of the leading rank of rows."""
-    k = min(rank + oversample, *rows.shape)
-    y = rows @ np.random.default_rng(seed).normal(size=(rows.shape[1], k))
-    for _ in range(power):
-        y = rows @ (rows.T @ np.linalg.qr(y)[0])
-    q = np.linalg.qr(y)[0]
-    _, s, vt = np.linalg.svd(q.T @ rows, full_matrices=False)
-    keep = min(rank, int((s > 1e-9 * max(s[0], 1e-30)).sum()) or 1)
-    return vt[:keep].T, s[:keep]
+def gaussian(h: np.ndarray, k: int, seed: int = 11) -> np.ndarray:
+    """A row of k normal numbers for each word, from its hash alone: every task draws the same ones."""
+    with np.errstate(over="ignore"):
+        u = mix(h[:, None] + (np.arange(2 * k, dtype=np.uint64) + np.uint64(seed * 1000 + 1)) * np.uint64(0x9E3779B97F4A7C15))
+    u = ((u >> np.uint64(11)).astype(np.float64) + 1) / (1 << 53)
+    return np.sqrt(-2 * np.log(u[:, :k])) * np.cos(2 * np.pi * u[:, k:])
 
 
-def fit_bases(passage: DataFrame, vocab: np.ndarray, idf: np.ndarray, rank: int = RANK) -> list[dict]:
-    """For each chunk of passages: its words, their rows of the basis times their weight, and the passages' places."""
+def _weighted(words: list[bytes], vocab: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Sparse TF-IDF rows: (row, place among used, weight), and the vocabulary's numbers of the used words."""
+    at = [np.searchsorted(vocab, np.frombuffer(w, np.uint64)) for w in words]
+    flat = np.concatenate(at)
+    used, local = np.unique(flat, return_inverse=True)
+    return np.repeat(np.arange(len(at)), [len(x) for x in at]), local, idf[flat], used
 
-    def chunk(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["item_id", "passage"]).reset_index(drop=True)
-        words = [np.searchsorted(vocab, np.frombuffer(w, np.uint64)) for w in pdf["words"]]
-        used = np.unique(np.concatenate(words))
-        used = used[idf[used] > 0]
-        a = np.zeros((len(words), max(len(used), 1)))
-        for i, w in enumerate(words):
-            w = w[idf[w] > 0]
-            np.add.at(a[i], np.searchsorted(used, w), idf[w])
-        v, _ = randomised_svd(a, rank)
-        weight = idf[used] if len(used) else np.zeros(1)
-        return pd.DataFrame({"used": [used.astype(np.int64).tobytes()], "basis": [(v * weight[:, None]).astype(np.float32).tobytes()], "rank": [v.shape[1]], "place": [(a @ v).astype(np.float32).tobytes()], "row": [pdf["row"].to_numpy(np.int64).tobytes()]})
 
-    return [r.asDict() for r in passage.groupBy("chunk").applyInPandas(chunk, "used binary, basis binary, rank int, place binary, row binary").collect()]
+def _times(row: np.ndarray, col: np.ndarray, value: np.ndarray, x: np.ndarray, n: int) -> np.ndarray:
+    """Sparse (n rows) by dense; entries come in order of rows, and every row has some."""
+    return np.add.reduceat(value[:, None] * x[col], np.searchsorted(row, np.arange(n)), axis=0)
+
+
+def _back(row: np.ndarray, col: np.ndarray, value: np.ndarray, y: np.ndarray, n: int) -> np.ndarray:
+    """Transposed sparse by dense, n columns of the sparse one."""
+    order = np.argsort(col, kind="stable")
+    return np.add.reduceat(value[order, None] * y[row[order]], np.searchsorted(col[order], np.arange(n)), axis=0)
+
+
+def randomised_svd(passage: DataFrame, vocab: np.ndarray, idf: np.ndarray, rank: int, power: int = POWER) -> tuple[np.ndarray, np.ndarray]:
+    """(leading right singular vectors as columns, singular values) of the TF-IDF rows of passages (words binary, not empty), by distributed products."""
+    sc = passage.sparkSession.sparkContext
+    k = rank + OVERSAMPLE
+
+    def product(x: np.ndarray | None) -> np.ndarray:
+        """Transposed rows times (rows times x), or times a Gaussian sketch."""
+        shared = sc.broadcast((vocab, idf, x))
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            vocab, idf, x = shared.value
+            for batch in batches:
+                if not batch.num_rows:
+                    continue
+                row, col, value, used = _weighted(batch.column(0).to_pylist(), vocab, idf)
+                y = _times(row, col, value, gaussian(vocab[used], k) if x is None else x[used], batch.num_rows)
+                z = _back(row, col, value, y, len(used))
+                edge = np.flatnonzero(np.diff(used // BLOCK_WORDS, prepend=-1))
+                to = np.append(edge[1:], len(used))
+                yield pa.RecordBatch.from_arrays([pa.array(used[edge] // BLOCK_WORDS), pa.array([used[a:b].tobytes() for a, b in zip(edge, to)], pa.binary()), pa.array([z[a:b].tobytes() for a, b in zip(edge, to)], pa.binary())], ["block", "at", "sums"])
+
+        def add(table: pa.Table) -> pa.Table:
+            block = table["block"][0].as_py()
+            out = np.zeros((BLOCK_WORDS, k))
+            parts = sorted(zip(table["at"].to_pylist(), table["sums"].to_pylist()))  # one order of summing, so one result
+            for at, sums in parts:
+                out[np.frombuffer(at, np.int64) - block * BLOCK_WORDS] += np.frombuffer(sums).reshape(-1, k)
+            return pa.table([pa.array([block]), pa.array([out.tobytes()], pa.binary())], ["block", "sums"])
+
+        z = np.zeros((len(vocab), k))
+        for r in passage.select("words").mapInArrow(run, "block long, at binary, sums binary").groupBy("block").applyInArrow(add, "block long, sums binary").collect():
+            lo = r["block"] * BLOCK_WORDS
+            z[lo : lo + BLOCK_WORDS] = np.frombuffer(r["sums"]).reshape(-1, k)[: len(vocab) - lo]
+        return z
+
+    x = None
+    for _ in range(power + 1):
+        x = np.linalg.qr(product(x))[0]
+        x = np.pad(x, ((0, 0), (0, k - x.shape[1])))  # a vocabulary of fewer words than directions
+    s, u = np.linalg.eigh(x.T @ product(x))
+    order = np.argsort(s)[::-1][:rank]
+    s = np.sqrt(np.maximum(s[order], 0))
+    keep = max(1, int((s > 1e-6 * max(s[0], 1e-30)).sum()))
+    return (x @ u[:, order])[:, :keep], s[:keep]
 
 
 def lcs(a: np.ndarray, b: np.ndarray) -> int:
@@ -163,13 +206,13 @@ def judge(item: np.ndarray, answer: np.ndarray, window: np.ndarray) -> tuple[flo
     return share, told, share >= LCS_SURE or told >= ANSWER_SHARE
 
 
-def _places(items: list[np.ndarray], vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """In how many places of each item each word stands (PASSAGE at most), the most in any item, and the places that a leak must fill."""
+def _places(items: list[np.ndarray], vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """In how many places of each item each word stands (PASSAGE at most), the most in any item, and the places that a sure and a possible leak must fill."""
     places = np.zeros((len(vocab), len(items)), np.uint8)
     for j, w in enumerate(items):
         np.add.at(places, (np.searchsorted(vocab, w), j), 1)
-    need = np.array([len(w) if len(w) < MIN_WORDS else np.ceil(LCS_SURE * len(w) - 1e-9) for w in items])
-    return places, places.max(axis=1).astype(np.int64), need
+    need = lambda share: np.array([len(w) if len(w) < MIN_WORDS else np.ceil(share * len(w) - 1e-9) for w in items])
+    return places, places.max(axis=1).astype(np.int64), need(LCS_SURE), need(LCS_MAYBE)
 
 
 def _windows(block: np.ndarray, f: np.ndarray, first: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -182,36 +225,26 @@ def _windows(block: np.ndarray, f: np.ndarray, first: np.ndarray, n: int) -> tup
     return windows, both % n, edge
 
 
-def _overlapping(windows: np.ndarray, words: np.ndarray, edge: np.ndarray, places: np.ndarray, most: np.ndarray, need: np.ndarray) -> list[tuple[int, int]]:
-    """(window, item) where the window's words fill the places that the item needs."""
-    ok = np.add.reduceat(most[words], edge) >= need.min()
-    if not ok.any():
-        return []
+def _overlaps(chosen: np.ndarray, words: np.ndarray, edge: np.ndarray, places: np.ndarray) -> np.ndarray:
+    """(chosen windows x items): how many places of each item the window's words fill."""
     size = np.diff(np.append(edge, len(words)))
-    mine = words[np.repeat(ok, size)]
-    begin = np.concatenate([[0], np.cumsum(size[ok])[:-1]])
-    w, j = np.nonzero(np.add.reduceat(places[mine], begin, axis=0) >= need)
-    return list(zip(windows[ok][w].tolist(), j.tolist()))
+    begin = np.concatenate([[0], np.cumsum(size[chosen])[:-1]])
+    return np.add.reduceat(places[words[np.repeat(chosen, size)]], begin, axis=0, dtype=np.int32)
 
 
-def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, bases: list[dict]) -> DataFrame:
+def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, basis: np.ndarray, places: np.ndarray) -> DataFrame:
+    """Leaks of these passages; basis: the vocabulary's rows of the basis times their weight, places: the passages' own."""
     items = [np.frombuffer(r["words"], np.uint64) for r in rows]
     answers = [np.frombuffer(r["answer"], np.uint64) for r in rows]
     item_ids = np.array([r["item_id"] for r in rows], dtype=object)
     numbers = np.array([r["passage"] for r in rows])
-    shared = docs.sparkSession.sparkContext.broadcast((items, answers, item_ids, numbers, vocab, bases))
+    shared = docs.sparkSession.sparkContext.broadcast((items, answers, item_ids, numbers, vocab, basis.astype(np.float32), places.astype(np.float32)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        items, answers, item_ids, numbers, vocab, bases = shared.value
+        items, answers, item_ids, numbers, vocab, basis, place = shared.value
         known = Vocabulary(vocab)
-        models = []
-        for b in bases:
-            used = np.frombuffer(b["used"], np.int64)
-            local = np.full(len(vocab), -1)
-            local[used] = np.arange(len(used))
-            place = np.frombuffer(b["place"], np.float32).reshape(-1, b["rank"])
-            models.append((local, np.frombuffer(b["basis"], np.float32).reshape(-1, b["rank"]), place, np.linalg.norm(place, axis=1), np.frombuffer(b["row"], np.int64)))
-        overlaps = [_places([items[i] for i in m[4]], vocab) for m in models]
+        norm = np.maximum(np.linalg.norm(place, axis=1), 1e-9)
+        filled, most, sure, maybe = _places(items, vocab)
         for batch in batches:
             for part, buf, offs in byte_slices(batch):
                 _, _, h, doc = word_table(buf, offs)
@@ -223,44 +256,31 @@ def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, bases: list[di
                 n_blocks = -(-counts // PASSAGE)
                 block0 = np.concatenate([[0], np.cumsum(n_blocks)])
                 hit_block = block0[doc[at]] + (at - first[doc[at]]) // PASSAGE
-                found, kept = [], []
                 windows, words, edge = _windows(hit_block, f, block0, len(vocab))
-                for (local, basis, place, norm, row), (places, most, need) in zip(models, overlaps):
-                    near = _overlapping(windows, words, edge, places, most, need)
-                    found += [(w, row[j], 0.0) for w, j in near]
-                    mine = local[f] >= 0
-                    if not mine.any():
-                        continue
-                    hb, feat = hit_block[mine], local[f[mine]]
-                    touched, start = np.unique(hb, return_index=True)
-                    sums = np.add.reduceat(basis[feat], start, axis=0)
-                    # window w = blocks w and w + 1 of one text; a window with nothing in its first block only repeats the next one
-                    z = sums
-                    follow = np.flatnonzero(np.diff(touched) == 1)
-                    same = follow[~np.isin(touched[follow + 1], block0)]
-                    z = sums.copy()
-                    z[same] += sums[same + 1]
-                    dots = z @ place.T
-                    zn = np.maximum(np.linalg.norm(z, axis=1), 1e-9)
-                    w, p = np.nonzero((dots >= MIN_COSINE * zn[:, None] * norm[None, :]) & (dots >= MIN_COVER * norm[None, :] ** 2) & (norm[None, :] > 0))
-                    found += [(touched[i], row[j], float(dots[i, j] / zn[i] / norm[j])) for i, j in zip(w, p)]
-                    kept += [(touched[i], row[j]) for i, j in zip(w, p)]
-                    # the cosine of what only the overlap found
-                    if near:
-                        row_of = {int(x): i for i, x in enumerate(touched)}
-                        known_at = [(row_of[int(w)], int(w), j) for w, j in near if int(w) in row_of and norm[j] > 0]
-                        found += [(w, row[j], float(dots[i, j] / zn[i] / norm[j])) for i, w, j in known_at]
-                retrieved = {(int(b), int(j)) for b, j in kept}
-                cosine: dict[tuple[int, int], float] = {}
-                for b, j, cos in found:
-                    cosine[int(b), int(j)] = max(cos, cosine.get((int(b), int(j)), cos))
-                found = [(b, j, cos) for (b, j), cos in cosine.items()]
+                # a window that can't fill LCS_MAYBE of any passage has no leak
+                chosen = np.add.reduceat(most[words], edge) >= maybe.min()
+                if not chosen.any():
+                    continue
+                touched, start = np.unique(hit_block, return_index=True)
+                sums = np.add.reduceat(basis[f], start, axis=0)
+                mine = windows[chosen]
+                z = np.zeros((len(mine), basis.shape[1]), np.float32)
+                for step in (0, 1):  # a window is a block and the next one of its text
+                    k = np.minimum(np.searchsorted(touched, mine + step), len(touched) - 1)
+                    ok = touched[k] == mine + step
+                    if step:
+                        ok &= ~np.isin(mine + 1, block0)
+                    z[ok] += sums[k[ok]]
+                cosine = (z @ place.T) / np.maximum(np.linalg.norm(z, axis=1), 1e-9)[:, None] / norm[None, :]
+                overlap = _overlaps(chosen, words, edge, filled)
+                w, j = np.nonzero((overlap >= sure) | ((cosine >= MIN_COSINE) & (overlap >= maybe)))
+                found = [(int(mine[i]), int(q), float(cosine[i, q])) for i, q in zip(w, j)]
                 best: dict[tuple[int, int], tuple] = {}
                 for b, j, cos in found:
                     d = int(np.searchsorted(block0, b, side="right")) - 1
                     lo = first[d] + (b - block0[d]) * PASSAGE
                     share, told, leak = judge(items[j], answers[j], h[lo : min(lo + 2 * PASSAGE, first[d + 1])])
-                    if leak and (share >= LCS_SURE or (b, j) in retrieved):
+                    if leak and (share >= LCS_SURE or cos >= MIN_COSINE):
                         key, new = (d, item_ids[j]), (round(share, 4), round(told, 4), round(cos, 4), -int(numbers[j]), -int(lo - first[d]))
                         if key not in best or new > best[key]:
                             best[key] = new
@@ -275,23 +295,25 @@ def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, bases: list[di
 EMPTY = "doc_id long, item_id long, cosine double, lcs double, answer double, passage int, position int"
 
 
-def find(docs: DataFrame, benchmark: DataFrame, rank: int = RANK) -> DataFrame:
+def find(docs: DataFrame, benchmark: DataFrame, rank: int = RANK, most: int = PASS) -> DataFrame:
     spark = docs.sparkSession
     passage = cut(passages(benchmark.where("item_id is not null")).dropDuplicates(["words", "item_id"]))
-    n = passage.count()
-    out = spark.createDataFrame([], EMPTY)
-    passes = -(-n // (RANK * MODELS))
-    for k in range(passes):
-        mine = passage.where(F.pmod(F.xxhash64("item_id"), F.lit(passes)) == k)
-        rows = sorted((r.asDict() for r in mine.collect()), key=lambda r: (r["item_id"], r["passage"]))
-        if not rows:
-            continue
-        vocab = np.unique(np.concatenate([np.frombuffer(r["words"], np.uint64) for r in rows]))
-        df, n_docs = document_frequencies(docs, vocab)
-        idf = np.where(df <= max(MAX_DF * n_docs, 1), np.log((n_docs + 1) / (df + 1)), 0.0)
-        part = spark.createDataFrame([(i, i // RANK, r["item_id"], r["passage"], bytes(r["words"])) for i, r in enumerate(rows)], "row long, chunk int, item_id long, passage int, words binary")
-        hits = _search(docs, rows, vocab, fit_bases(part, vocab, idf, rank))
-        out = hits if k == 0 else out.unionByName(hits)
+    rows = sorted((r.asDict() for r in passage.collect()), key=lambda r: (r["item_id"], r["passage"]))
+    if not rows:
+        return spark.createDataFrame([], EMPTY)
+    vocab = np.unique(np.concatenate([np.frombuffer(r["words"], np.uint64) for r in rows]))
+    df, n_docs = document_frequencies(docs, vocab)
+    idf = np.log((n_docs + 2) / (df + 1))
+    v, _ = randomised_svd(passage, vocab, idf, min(rank, max(1, len(rows) // 2)))
+    basis = v * idf[:, None]
+    out = None
+    for lo in range(0, len(rows), most):
+        part = rows[lo : lo + most]
+        words = np.unique(np.concatenate([np.frombuffer(r["words"], np.uint64) for r in part]))
+        mine = np.searchsorted(vocab, words)
+        places = np.stack([basis[np.searchsorted(vocab, np.frombuffer(r["words"], np.uint64))].sum(0) for r in part])
+        hits = _search(docs, part, words, basis[mine], places)
+        out = hits if out is None else out.unionByName(hits)
     best = F.max_by(F.struct("cosine", "lcs", "answer", "passage", "position"), F.struct("lcs", "answer", "cosine", -F.col("passage"), -F.col("position"))).alias("x")
     return out.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "x.*")
 

@@ -149,11 +149,52 @@ def test_lcs_matches_dynamic_program():
         assert decontam.lcs(a, b) == t[-1, -1]
 
 
-def test_randomised_svd_finds_the_spectrum():
+def test_randomised_svd_finds_the_spectrum(spark):
+    """Against a dense SVD: TF-IDF rows of 300 passages that mix 12 topics, at a rank far below the passages."""
     rng = np.random.default_rng(7)
-    a = rng.normal(size=(60, 8)) @ rng.normal(size=(8, 200))
-    v, s = decontam.randomised_svd(a, 8)
-    assert np.allclose(s, np.linalg.svd(a, compute_uv=False)[:8]) and np.allclose(a @ v @ v.T, a)
+    topics = rng.dirichlet(np.full(500, 0.02), 12)
+    vocab = np.sort(common.mix(np.arange(1, 501, dtype=np.uint64)))
+    words = [vocab[rng.choice(500, 64, p=topics[i % 12])] for i in range(300)]
+    idf = rng.uniform(0.1, 3, 500)
+    a = np.zeros((300, 500))
+    for i, w in enumerate(words):
+        np.add.at(a[i], np.searchsorted(vocab, w), 1)
+    a *= idf
+    df = spark.createDataFrame([(bytes(w.tobytes()),) for w in words], "words binary").repartition(3)
+    v, s = decontam.randomised_svd(df, vocab, idf, 12)
+    exact = np.linalg.svd(a, compute_uv=False)
+    assert np.allclose(v.T @ v, np.eye(12), atol=1e-8) and np.allclose(s, exact[:12], rtol=0.01)
+    assert np.linalg.norm(a - a @ v @ v.T) <= 1.01 * np.sqrt((exact[12:] ** 2).sum())
+
+
+def test_decontamination_recall_against_all_pairs(spark):
+    """Paraphrases (words replaced, dropped and put in) against the checks of every window and passage without retrieval."""
+    rng = random.Random(31)
+    vocab = [prose(rng, 1).strip(" .") + str(i % 7) for i in range(900)]
+    say = lambda n: " ".join(rng.choice(vocab) for _ in range(n))
+    items = [(i, say(rng.choice((12, 35, 64, 130)))) for i in range(160)]
+    rows = []
+    for i in range(220):
+        words = items[i % 160][1].split()
+        share = rng.choice((0.1, 0.25, 0.4))
+        kept = [w if rng.random() > share else rng.choice((rng.choice(vocab), "")) for w in words[:-6]] + words[-6:]
+        rows.append((i, say(rng.randrange(150)) + " " + " ".join(kept) + " " + say(rng.randrange(150))))
+    rows += [(1000 + i, say(300)) for i in range(60)]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    found = {(r.doc_id, r.item_id) for r in decontam.find(docs(spark, rows), bench).collect()}
+    pieces = decontam.passages(bench).collect()
+    want = set()
+    for i, t in rows:
+        raw = np.frombuffer(t.encode(), np.uint8)
+        h = common.word_table(raw, np.array([0, len(raw)]))[2]
+        for lo in range(0, len(h), decontam.PASSAGE):
+            for r in pieces:
+                item, answer = (np.frombuffer(r[c], np.uint64) for c in ("words", "answer"))
+                if decontam.judge(item, answer, h[lo : lo + 2 * decontam.PASSAGE])[2]:
+                    want.add((i, r["item_id"]))
+    assert found <= want and len(found) >= 0.95 * len(want) and len(want) > 150
+    # a benchmark of several passes over the documents
+    assert {(r.doc_id, r.item_id) for r in decontam.find(docs(spark, rows), bench, most=100).collect()} == found
 
 
 def test_decontamination(spark):
@@ -175,7 +216,7 @@ def test_decontamination(spark):
 
 
 def test_widespread_leaks_are_found(spark):
-    """A passage in far more than MAX_DF of the documents, and one of which only a part is so widespread."""
+    """A passage in a quarter of the documents, and one of which only a part is so widespread."""
     rng = random.Random(23)
     items = [(i, prose(rng, 40)) for i in range(3)]
     part = " ".join(items[1][1].split()[:32])
