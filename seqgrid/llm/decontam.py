@@ -2,14 +2,15 @@
 
 1. *Passages.* Benchmark items are cut in passages of PASSAGE words; a document is read in windows of twice that, one
    passage apart, so every passage-long stretch lies whole in some window.
-2. *TF-IDF.* Document frequencies of the benchmark's words are counted over all documents, by one scan. The weight is a
-   smoothed inverse document frequency, small for common words but never nothing.
+2. *TF-IDF.* Document frequencies of the benchmark's words are counted over all documents, by one scan. The weight is the
+   square of a smoothed inverse document frequency, small for common words but never nothing.
 3. *Randomised SVD.* One basis of RANK directions (fewer than half of the passages) for all passages: subspace iteration
    from a Gaussian sketch, POWER times. Each product is a distributed one over the table of passages: a task multiplies
    its rows, partial sums are added up by blocks of the vocabulary, and only the thin (words x directions) matrix, which
    does not grow with the corpus, reaches the driver to be made orthogonal.
 4. *Search.* Every window is folded into the basis; windows of cosine >= MIN_COSINE with a passage, that can hold
-   LCS_MAYBE of its words (no common subsequence is longer than the overlap of words), are candidates.
+   LCS_MAYBE of its words (no common subsequence is longer than the overlap of words) and have words of MIN_COVER of its
+   weight (what common words make alike by chance has less), are candidates.
 5. *Overlap.* So is every window whose words fill at least LCS_SURE of the passage's places (all places of a short
    item), whatever they weigh. No common subsequence is longer than this overlap, so no leak of LCS_SURE is missed,
    whatever its cosine. The answer's weaker rule in step 6 is for candidates of step 4.
@@ -37,7 +38,7 @@ from pyspark.sql import functions as F
 from seqgrid.llm.common import byte_slices, cut, keyed_docs, load, mix, word_table
 
 PASSAGE, RANK, OVERSAMPLE, POWER, PASS = 64, 64, 16, 2, 2048
-MIN_COSINE, LCS_SURE, LCS_MAYBE, ANSWER, ANSWER_SHARE, MIN_WORDS = 0.3, 0.7, 0.5, 6, 0.8, 8
+MIN_COSINE, MIN_COVER, LCS_SURE, LCS_MAYBE, ANSWER, ANSWER_SHARE, MIN_WORDS = 0.3, 0.4, 0.7, 0.5, 6, 0.8, 8
 BLOCK_WORDS = 4096
 BROADCAST_IDS = 4 << 20
 _BITS = 20
@@ -232,16 +233,26 @@ def _overlaps(chosen: np.ndarray, words: np.ndarray, edge: np.ndarray, places: n
     return np.add.reduceat(places[words[np.repeat(chosen, size)]], begin, axis=0, dtype=np.int32)
 
 
-def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, basis: np.ndarray, places: np.ndarray) -> DataFrame:
+def _covered(w: np.ndarray, j: np.ndarray, sure: np.ndarray, chosen: np.ndarray, words: np.ndarray, edge: np.ndarray, places: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The sure pairs, and those whose window has words of MIN_COVER of the item's weight: chance hits share common words only."""
+    lo, size = edge[chosen[w]], np.diff(np.append(edge, len(words)))[chosen[w]]
+    begin = np.concatenate([[0], np.cumsum(size)[:-1]])
+    at = words[np.arange(size.sum()) - np.repeat(begin - lo, size)]
+    have = np.add.reduceat(places[at, np.repeat(j, size)] * weight[at], begin)
+    keep = sure | (have >= MIN_COVER * (weight @ places)[j])
+    return w[keep], j[keep]
+
+
+def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, basis: np.ndarray, places: np.ndarray, weight: np.ndarray) -> DataFrame:
     """Leaks of these passages; basis: the vocabulary's rows of the basis times their weight, places: the passages' own."""
     items = [np.frombuffer(r["words"], np.uint64) for r in rows]
     answers = [np.frombuffer(r["answer"], np.uint64) for r in rows]
     item_ids = np.array([r["item_id"] for r in rows], dtype=object)
     numbers = np.array([r["passage"] for r in rows])
-    shared = docs.sparkSession.sparkContext.broadcast((items, answers, item_ids, numbers, vocab, basis.astype(np.float32), places.astype(np.float32)))
+    shared = docs.sparkSession.sparkContext.broadcast((items, answers, item_ids, numbers, vocab, basis.astype(np.float32), places.astype(np.float32), weight))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        items, answers, item_ids, numbers, vocab, basis, place = shared.value
+        items, answers, item_ids, numbers, vocab, basis, place, weight = shared.value
         known = Vocabulary(vocab)
         norm = np.maximum(np.linalg.norm(place, axis=1), 1e-9)
         filled, most, sure, maybe = _places(items, vocab)
@@ -274,6 +285,9 @@ def _search(docs: DataFrame, rows: list[dict], vocab: np.ndarray, basis: np.ndar
                 cosine = (z @ place.T) / np.maximum(np.linalg.norm(z, axis=1), 1e-9)[:, None] / norm[None, :]
                 overlap = _overlaps(chosen, words, edge, filled)
                 w, j = np.nonzero((overlap >= sure) | ((cosine >= MIN_COSINE) & (overlap >= maybe)))
+                if not len(w):
+                    continue
+                w, j = _covered(w, j, overlap[w, j] >= sure[j], np.flatnonzero(chosen), words, edge, filled, weight)
                 found = [(int(mine[i]), int(q), float(cosine[i, q])) for i, q in zip(w, j)]
                 best: dict[tuple[int, int], tuple] = {}
                 for b, j, cos in found:
@@ -303,16 +317,16 @@ def find(docs: DataFrame, benchmark: DataFrame, rank: int = RANK, most: int = PA
         return spark.createDataFrame([], EMPTY)
     vocab = np.unique(np.concatenate([np.frombuffer(r["words"], np.uint64) for r in rows]))
     df, n_docs = document_frequencies(docs, vocab)
-    idf = np.log((n_docs + 2) / (df + 1))
-    v, _ = randomised_svd(passage, vocab, idf, min(rank, max(1, len(rows) // 2)))
-    basis = v * idf[:, None]
+    weight = np.log((n_docs + 2) / (df + 1)) ** 2
+    v, _ = randomised_svd(passage, vocab, weight, min(rank, max(1, len(rows) // 2)))
+    basis = v * weight[:, None]
     out = None
     for lo in range(0, len(rows), most):
         part = rows[lo : lo + most]
         words = np.unique(np.concatenate([np.frombuffer(r["words"], np.uint64) for r in part]))
         mine = np.searchsorted(vocab, words)
         places = np.stack([basis[np.searchsorted(vocab, np.frombuffer(r["words"], np.uint64))].sum(0) for r in part])
-        hits = _search(docs, part, words, basis[mine], places)
+        hits = _search(docs, part, words, basis[mine], places, weight[mine])
         out = hits if out is None else out.unionByName(hits)
     best = F.max_by(F.struct("cosine", "lcs", "answer", "passage", "position"), F.struct("lcs", "answer", "cosine", -F.col("passage"), -F.col("position"))).alias("x")
     return out.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "x.*")
