@@ -7,12 +7,14 @@ cuts, after every ``capacity`` tokens). With S the running count of tokens, the
 min over cuts i with S[j] - S[i] <= capacity of f(i) + capacity - (S[j] - S[i]) + penalty(j): a sliding-window
 minimum of f(i) + S(i), which the queue keeps in order, so a shard costs time linear in its units.
 
-Shards are runs of consecutive ids of about SHARD_DOCS documents (id width by count, least and greatest id), packed
-independently. Units are found by one map over whole texts; only their lengths are shuffled, never text.
+Shards are runs of SHARD_DOCS documents (those with words, in order of their ids, however the ids are spread) and are
+packed independently, so each ends with one window that may be short; README has the padding that this adds. Units
+are found by one map over whole texts; only their lengths are shuffled, never text: to ranges of ids, which give each
+document its rank, and to shards.
 
 Result: one row for each piece of a window: (shard, window, seq, doc_id, start_char, end_char, n_tokens,
 window_tokens); start_char counts from 0. The pieces of a document cover it from 0 to its end. Defined results:
-texts without tokens (null, empty, blank) have no piece; documents with a null id form shard -1; equal ids are
+texts without tokens (null, empty, blank) have no piece; documents with a null id come first; equal ids are
 ordered by a hash of the text; repeated rows are packed each.
 """
 
@@ -23,10 +25,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from seqgrid.llm.common import IS_SPACE, byte_slices, keyed_docs, load
+from seqgrid.llm.common import IS_SPACE, byte_slices, cut, keyed_docs, load
 
 CAPACITY, SPLIT, HARD, SHARD_DOCS = 2048, 64, 256, 2048
 _MARK = np.zeros(256, bool)
@@ -112,7 +115,7 @@ def best_cuts(tokens: np.ndarray, penalty: np.ndarray, capacity: int) -> tuple[l
 
 def _pack_shard(capacity: int, split: int, hard_cost: int):
     def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by([("doc_id", "ascending"), ("tie", "ascending")])
+        table = table.take(pc.sort_indices(table, [("doc_id", "ascending"), ("tie", "ascending")], null_placement="at_start"))
         get = lambda c, t: [np.frombuffer(x, t) for x in table[c].to_pylist()]
         ends, toks, hards = get("ends", np.int32), get("tokens", np.int32), get("hard", np.uint8)
         count = np.array([len(x) for x in toks])
@@ -136,10 +139,6 @@ def _pack_shard(capacity: int, split: int, hard_cost: int):
 
 
 def pack(docs: DataFrame, capacity: int = CAPACITY, split: int = SPLIT, hard: int = HARD, shard_docs: int = SHARD_DOCS) -> DataFrame:
-    ids = docs.select(F.col("doc_id").cast("long").alias("doc_id"))
-    least, most, n = ids.agg(F.min("doc_id"), F.max("doc_id"), F.count("doc_id")).first()
-    width = max(1, round(shard_docs * (most - least + 1) / n)) if n else 1
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for rows, buf, offs in byte_slices(batch):
@@ -150,11 +149,19 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, split: int = SPLIT, hard: in
                 to = np.append(first[1:], len(doc))
                 cols = [[x[a:b].tobytes() for a, b in zip(first, to)] for x in (end.astype(np.int32), tokens.astype(np.int32), cut_inside.astype(np.uint8))]
                 take = pa.array(have)
-                yield pa.RecordBatch.from_arrays([rows.column(0).take(take), rows.column(2).take(take), rows.column(3).take(take), *[pa.array(c, pa.binary()) for c in cols]], ["doc_id", "shard", "tie", "ends", "tokens", "hard"])
-
-    shard = F.coalesce(F.floor((F.col("doc_id") - F.lit(least or 0)) / F.lit(width)), F.lit(-1)).cast("long")
-    lengths = keyed_docs(docs).select("doc_id", "text", shard.alias("shard"), F.xxhash64("text").alias("tie")).mapInArrow(run, "doc_id long, shard long, tie long, ends binary, tokens binary, hard binary")
-    return lengths.groupBy("shard").applyInArrow(_pack_shard(capacity, split, hard), RESULT)
+                yield pa.RecordBatch.from_arrays([rows.column(0).take(take), rows.column(2).take(take), *[pa.array(c, pa.binary()) for c in cols]], ["doc_id", "tie", "ends", "tokens", "hard"])
+
+    lengths = keyed_docs(docs).select("doc_id", "text", F.xxhash64("text").alias("tie")).mapInArrow(run, "doc_id long, tie long, ends binary, tokens binary, hard binary")
+    # the ranges come from a sample, so they are kept; what other ranges hold before a document is a number for each
+    ranged = cut(lengths.repartitionByRange("doc_id", "tie").withColumn("range", F.spark_partition_id()))
+    before, rows = [], 0
+    for r in ranged.groupBy("range").count().orderBy("range").collect():
+        before.append((r["range"], rows))
+        rows += r["count"]
+    place = F.row_number().over(Window.partitionBy("range").orderBy(F.col("doc_id").asc_nulls_first(), "tie")) - 1
+    ranked = ranged.withColumn("place", place).join(F.broadcast(docs.sparkSession.createDataFrame(before, "range int, before long")), "range")
+    dealt = ranked.select(F.floor((F.col("before") + F.col("place")) / shard_docs).alias("shard"), "doc_id", "tie", "ends", "tokens", "hard")
+    return dealt.groupBy("shard").applyInArrow(_pack_shard(capacity, split, hard), RESULT)
 
 
 def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

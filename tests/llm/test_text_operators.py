@@ -101,6 +101,32 @@ def test_packing_covers_every_text_in_order(spark):
     assert packing.pack(docs(spark, []).limit(0)).count() == 0
 
 
+def test_packing_deals_by_rank_whatever_the_ids(spark):
+    """Sparse ids, an outlying one and null ones: shards of as many documents as asked, in order, each the optimum of its texts."""
+    rng = random.Random(4)
+    ids = [None, None, *sorted(rng.sample(range(-(10**12), 10**12), 30)), 2**62]
+    rows = [(i, prose(rng, rng.randrange(20, 200))) for i in ids]
+    got = packing.pack(docs(spark, rows), capacity=64, shard_docs=8).collect()
+    dealt = {}
+    for r in got:
+        dealt.setdefault(r.shard, set()).add(r.doc_id)
+    assert sorted(dealt) == [0, 1, 2, 3, 4] and [len([i for i in ids if i in dealt[k]]) for k in range(1, 5)] == [8, 8, 8, 1]
+    flat = [i for k in range(5) for i in sorted(dealt[k], key=lambda x: (x is not None, x or 0))]
+    assert flat == [None, *ids[2:]]
+    for k in range(1, 5):
+        tokens, penalty = [], []
+        for i, t in rows:
+            if i in dealt[k]:
+                raw = np.frombuffer(t.encode(), np.uint8)
+                _, _, n, hard = packing.units(raw, np.array([0, len(raw)]), 64)
+                tokens += n.tolist()
+                penalty += [packing.HARD if x else packing.SPLIT for x in hard[:-1]] + [0]
+        mine = [r for r in got if r.shard == k]
+        windows = {r.window: r.window_tokens for r in mine}
+        cut_docs = sum(1 for r in mine if r.end_char < len(dict(rows)[r.doc_id]))
+        assert sum(64 - w for w in windows.values()) + packing.SPLIT * cut_docs == brute_cost(tokens, penalty, 64)
+
+
 # ---- language ----
 
 
