@@ -58,8 +58,11 @@ def quantile_cuts(points: DataFrame, k: int, exact: bool = False, column: str =
         total = ids.agg(F.max("upto")).first()[0] or 0
         rows = ids.select(column, F.floor(F.col("upto") * k / F.lit(max(total, 1))).alias("q"), (F.floor((F.col("upto") - F.col("w")) * k / F.lit(max(total, 1)))).alias("p")).where("q > p and q < " + str(k)).select(column).orderBy(column)
         return [r[0] for r in rows.collect()]
-    got = points.agg(F.percentile_approx(column, probs, max(10000, 20 * k)).alias("q")).first()[0]
-    top = points.agg(F.max(column)).first()[0]
+    # a weight of n counts n times: rows are repeated up to 16 times, larger weights keep their share among 16
+    most = points.agg(F.max(weight)).first()[0] or 1
+    times = F.col(weight) if most <= 16 else F.greatest(F.lit(1), F.round(F.col(weight) * 16 / F.lit(most)))
+    spread = points.select(column) if most == 1 else points.select(F.explode(F.array_repeat(F.col(column), times.cast("int"))).alias(column))
+    got, top = spread.agg(F.percentile_approx(column, probs, max(10000, 20 * k)), F.max(column)).first()
     return sorted({x for x in (got or []) if x is not None and x < top})
 
 

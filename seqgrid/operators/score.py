@@ -7,57 +7,47 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seqgrid.functions.mathx import lf, lg, ln_b, ln_fact, ln_gamma_step
+from seqgrid.functions.mathx import lf, lg, ln_b, ln_fact, variable_level
 from seqgrid.operators.grid import Grid
 
 PRIOR = ("shape", "cell_freq_prior", "seq_freq_prior", "event_freq_prior")
 LIKELIHOOD = ("cell_lik", "seq_lik", "event_lik", "time_rank_lik")
 
 
-def _sum(df: DataFrame, expr, term: str) -> DataFrame:  # noqa: ANN001
-    return df.agg(F.coalesce(F.sum(expr), F.lit(0.0)).alias("value")).select(F.lit(term).alias("term"), "value")
-
-
-def _const(df: DataFrame, value: float, term: str) -> DataFrame:
-    return df.sparkSession.range(1).select(F.lit(term).alias("term"), F.lit(float(value)).alias("value"))
+def _terms(g: Grid) -> dict[str, float]:
+    h, x = g.shape(), g.sums()
+    if h.N == 0:
+        return dict.fromkeys((*PRIOR, *LIKELIHOOD), 0.0)
+    S, E, T, C = (x[d] for d in "SETC")
+    return {
+        "shape": math.log(h.n) + math.log(h.a) + math.log(h.N) + ln_b(h.n, h.kS, g.prior) + ln_b(h.a, h.kE, g.prior),
+        "cell_freq_prior": lg(h.N + h.k) - lg(h.k) - lf(h.N),
+        "seq_freq_prior": S["step"] - S["parts"],
+        "event_freq_prior": E["step"] - E["parts"],
+        "cell_lik": lf(h.N) - C["values"],
+        "seq_lik": S["parts"] - S["values"],
+        "event_lik": E["parts"] - E["values"],
+        "time_rank_lik": T["values"],
+    }
 
 
 def score_terms(g: Grid) -> DataFrame:
     """(term, value), eight rows: four of the prior, four of the likelihood. An empty grid costs 0 in each."""
-    h = g.shape()
-    if h.N == 0:
-        return g.cells.sparkSession.createDataFrame([(t, 0.0) for t in (*PRIOR, *LIKELIHOOD)], "term string, value double")
-    shape = math.log(h.n) + math.log(h.a) + math.log(h.N) + ln_b(h.n, h.kS, g.prior) + ln_b(h.a, h.kE, g.prior)
-    freq = ln_gamma_step(F.col("n_values"), F.col("n_points")) - ln_fact(F.col("n_points"))
-    s, e, t = g.parts("S"), g.parts("E"), g.parts("T")
-    of = lambda term, value: F.struct(F.lit(term).alias("term"), value.alias("value"))
-    # one aggregate for each table: cells, parts and values are read once
-    two = lambda p, a, b: p.agg(F.sum(freq).alias("f"), F.sum(ln_fact(F.col("n_points"))).alias("l")).select(F.explode(F.array(of(a, F.col("f")), of(b, F.col("l")))).alias("x")).select("x.*")
-    lik = lambda dim, term: g.values(dim).agg((-F.sum(ln_fact(F.col("n")))).alias("value")).select(F.lit(term).alias("term"), "value")
-    rows = _const(g.cells, shape, "shape").unionByName(_const(g.cells, lg(h.N + h.k) - lg(h.k) - lf(h.N), "cell_freq_prior"))
-    rows = rows.unionByName(two(s, "seq_freq_prior", "seq_lik")).unionByName(two(e, "event_freq_prior", "event_lik"))
-    rows = rows.unionByName(lik("S", "seq_lik")).unionByName(lik("E", "event_lik"))
-    rows = rows.unionByName(_const(g.cells, lf(h.N), "cell_lik")).unionByName(_sum(g.cells, -ln_fact(F.col("n")), "cell_lik")).unionByName(_sum(t, ln_fact(F.col("n_points")), "time_rank_lik"))
-    return rows.groupBy("term").agg(F.sum("value").alias("value"))
+    return g.laid.sparkSession.createDataFrame([(t, float(v)) for t, v in _terms(g).items()], "term string, value double")
 
 
 def score_levels(g: Grid) -> DataFrame:
     """(level, dim, value): constant, variable, part (by dimension) and cell; they add up to the cost."""
-    h = g.shape()
-    if h.N == 0:
-        return g.cells.sparkSession.createDataFrame([], "level string, dim string, value double")
-    row = lambda df, level, dim: df.select(F.lit(level).alias("level"), F.lit(dim).alias("dim"), "value")
-    fixed = _const(g.cells, math.log(h.n) + math.log(h.a) + math.log(h.N) + lf(h.N), "x")
-    vals = _sum(g.s_values, -ln_fact(F.col("n")), "x").unionByName(_sum(g.e_values, -ln_fact(F.col("n")), "x"))
-    constant = fixed.unionByName(vals).agg(F.sum("value").alias("value"))
-    variable = _const(g.cells, ln_b(h.n, h.kS, g.prior) + ln_b(h.a, h.kE, g.prior) + lg(h.N + h.k) - lg(h.k) - lf(h.N), "x")
-    part = lambda dim: _sum(g.parts(dim), ln_gamma_step(F.col("n_values"), F.col("n_points")), "x")
-    t = _sum(g.parts("T"), ln_fact(F.col("n_points")), "x")
-    return row(constant, "constant", "all").unionByName(row(variable, "variable", "all")).unionByName(row(part("S"), "part", "S")).unionByName(row(part("E"), "part", "E")).unionByName(row(t, "part", "T")).unionByName(row(_sum(g.cells, -ln_fact(F.col("n")), "x"), "cell", "all"))
+    h, x = g.shape(), g.sums()
+    rows = []
+    if h.N:
+        constant = math.log(h.n) + math.log(h.a) + math.log(h.N) + lf(h.N) - x["S"]["values"] - x["E"]["values"]
+        rows = [("constant", "all", constant), ("variable", "all", variable_level(h.n, h.a, h.N, h.kS, h.kT, h.kE, g.prior)), ("part", "S", x["S"]["step"]), ("part", "E", x["E"]["step"]), ("part", "T", x["T"]["values"]), ("cell", "all", -x["C"]["values"])]
+    return g.laid.sparkSession.createDataFrame([(a, b, float(v)) for a, b, v in rows], "level string, dim string, value double")
 
 
 def cost(g: Grid) -> float:
-    return score_terms(g).agg(F.sum("value")).first()[0]
+    return sum(_terms(g).values())
 
 
 def bits(g: Grid) -> float:
@@ -70,12 +60,17 @@ def split(g: Grid) -> DataFrame:
 
 
 def likelihood_only(g: Grid) -> float:
-    return score_terms(g).where(F.col("term").isin(*LIKELIHOOD)).agg(F.sum("value")).first()[0]
+    terms = _terms(g)
+    return sum(terms[t] for t in LIKELIHOOD)
 
 
 def _marginals(points: DataFrame) -> tuple[int, int, int, float, float]:
-    one = lambda v: points.groupBy(v).agg(F.sum("n").alias("n")).agg(F.count(F.lit(1)).alias("k"), F.coalesce(F.sum("n"), F.lit(0)).alias("N"), F.coalesce(F.sum(ln_fact(F.col("n"))), F.lit(0.0)).alias("l"))
-    s, e = one("s").first(), one("e").first()
+    """n, a, N and the sums of ln n! over sequences and over events, by one job."""
+    both = points.groupingSets([[F.col("s")], [F.col("e")]], F.col("s"), F.col("e")).agg(F.grouping_id().alias("gid"), F.sum("n").cast("long").alias("n"))
+    got = {r["gid"]: r for r in both.groupBy("gid").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("N"), F.sum(ln_fact(F.col("n"))).alias("l")).collect()}
+    if not got:
+        return 0, 0, 0, 0.0, 0.0
+    s, e = got[1], got[2]  # 1: e summed over; 2: s summed over
     return int(s["k"]), int(e["k"]), int(s["N"]), s["l"], e["l"]
 
 

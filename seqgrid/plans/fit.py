@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import time
 from dataclasses import dataclass
 
@@ -10,15 +11,15 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from seqgrid.functions.encode import quantile_cuts
-from seqgrid.operators import grid, merge, refine
+from seqgrid.functions.encode import interval_of, lookup_interval, ordered_ids, quantile_cuts
+from seqgrid.operators import grid, merge, refine, score
 from seqgrid.operators.grid import Grid, Shape
 from seqgrid.operators.score import cost
 from seqgrid.plans import kernel
 from seqgrid.sources.persist import cut
 
 KERNEL_POINTS = 8_000_000  # folded points that one task holds (about 32 bytes each, and the kernel's arrays)
-CAP = 2048  # parts on an axis, at most
+CAP = 1024  # parts on an axis of a distributed start, at most
 
 
 def _code(x: pd.Series) -> tuple[np.ndarray, np.ndarray]:
@@ -120,17 +121,31 @@ def greedy(points: DataFrame, start: str = "coarse", objective: str = "cost", pr
     return points.groupBy(F.lit(0).alias("all")).applyInPandas(task, "step int, dim string, left int, right int, delta double")
 
 
+def _alike(points: DataFrame, column: str, cap: int, cuts: list) -> DataFrame:
+    """(value, part): at most cap groups of about equal size of values with like profiles over the other coordinates.
+
+    A value's place is the mean of a hash-drawn number for each (interval, other value) that it meets; sorted by place,
+    values are dealt to groups in runs.
+    """
+    other = "e" if column == "s" else "s"
+    drawn = F.xxhash64(lookup_interval(F.col("t"), cuts), other) / float(1 << 63)
+    place = points.groupBy(F.col(column).alias("value")).agg((F.sum(F.col("n") * drawn) / F.sum("n")).alias("place"))
+    # ties by value; the sort key is one column for the range partitions
+    ids = ordered_ids(place.select("value", F.struct("place", "value").alias("key")), "key")
+    many = max(1, ids.agg(F.max("id")).first()[0] or 0) + 1
+    return ids.select("value", F.floor(F.col("id") * cap / F.lit(many)).cast("int").alias("part"))
+
+
 def coarse_grid(points: DataFrame, cap: int = CAP, prior: str = "at_most") -> Grid:
-    """Distributed coarse start: quantile cuts, values alone or, above the cap, hashed groups of them."""
+    """Distributed coarse start: quantile cuts; values alone or, above the cap, groups of values with like profiles."""
     h = points.agg(F.approx_count_distinct("s").alias("n"), F.approx_count_distinct("e").alias("a"), F.sum("n").alias("N")).first()
     cap = min(cap, int((h["N"] or 1) ** 0.5) + 1)
     cuts = quantile_cuts(points, min(cap, max(8, int(h["N"] or 1) // max(1, min(h["n"], cap) * min(h["a"], cap)))))
+    few = cuts[:: max(1, len(cuts) // 8)]
 
-    def part(v: str, k: int):  # noqa: ANN202
-        from seqgrid.functions.encode import ordered_ids
-
+    def part(v: str, k: int) -> DataFrame:
         if k > cap:
-            return points.select(v).distinct().select(F.col(v).alias("value"), F.pmod(F.xxhash64(v), F.lit(cap)).cast("int").alias("part"))
+            return _alike(points, v, cap, few)
         return ordered_ids(points.select(v).distinct(), v).select(F.col(v).alias("value"), F.col("id").cast("int").alias("part"))
 
     return grid.apply(points, part("s", h["n"]), cuts, part("e", h["a"]), prior)
@@ -164,8 +179,8 @@ class _Rolled:
         return _Rolled(cut(cells), {**self.sizes, dim: size}, self.h, self.prior)
 
 
-def greedy_batched(g: Grid, min_gain: float = 0.0, max_rounds: int = 200, until_cells: int | None = None) -> tuple[Grid, list[tuple]]:
-    """Rounds of many merges at once, for grids too large for a task.
+def greedy_batched(g: Grid, min_gain: float = 0.0, until_cells: int | None = None) -> tuple[Grid, list[tuple]]:
+    """Rounds of many merges at once, for grids too large for a task, until no axis has a merge that lowers the cost (or, with until_cells, a task can hold the cells).
 
     In a round one axis merges its mutually best, disjoint pairs. Their changes add up exactly but for the variable
     level, which is known for any number of merges; the longest prefix by change that lowers the cost is done. Only
@@ -176,7 +191,7 @@ def greedy_batched(g: Grid, min_gain: float = 0.0, max_rounds: int = 200, until_
     label = {d: {p: p for p in sizes[d]} for d in "STE"}
     log: list[tuple] = []
     idle = 0
-    while idle < 3 and len(log) < max_rounds and (until_cells is None or now.cells.count() > until_cells):
+    while idle < 3 and not (until_cells is not None and now.shape().k <= kernel.CELLS and now.cells.count() <= until_cells):
         dim = "STE"[len(log) % 3]
         k = len(now.sizes[dim])
         if k < 2:
@@ -210,28 +225,62 @@ def greedy_batched(g: Grid, min_gain: float = 0.0, max_rounds: int = 200, until_
 
 def _rest(g: Grid) -> Grid:
     """A grid whose labelled points lie in the shared folder."""
-    return grid.of_columns(cut(g.laid), g.prior)
+    return grid.of_columns(cut(g.laid), g.prior, g.cuts)
+
+
+def merge_cells(g: Grid, max_cells: int = KERNEL_POINTS, rounds: int = 1, seed: int = 0) -> Grid:
+    """Merges of a grid's parts to the optimum: distributed rounds while a task can't hold the cells, then the exact greedy on them in one.
+
+    With rounds > 1 further tasks search from random groupings of the parts. The parts are atoms here, with their sizes.
+    """
+    g, _ = greedy_batched(g, until_cells=max_cells)
+    h, prior = g.shape(), g.prior
+    sizes = {d: {r["part"]: r["n_values"] for r in g.parts(d).collect()} for d in "SE"}
+
+    def task(pdf: pd.DataFrame) -> pd.DataFrame:
+        number = int(pdf["round"].iloc[0])
+        (sv, si), (tv, ti), (ev, ei) = (np.unique(pdf[c], return_inverse=True) for c in grid.DIMS.values())
+        d = kernel.Data(si, ti, ei, pdf["n"].to_numpy(), len(sv), len(tv), len(ev), np.array([sizes["S"][x] for x in sv]), np.array([sizes["E"][x] for x in ev]), h.n, h.a, prior)
+        r = kernel.one_round(d, number, seed, "finest")
+        part = lambda v, p: json.dumps({int(a): int(b) for a, b in zip(v, p)})
+        return pd.DataFrame({"round": [number], "cost": [r.cost], "s": [part(sv, r.parts.s)], "t": [part(tv, r.parts.t)], "e": [part(ev, r.parts.e)]})
+
+    many = g.cells.crossJoin(F.broadcast(g.cells.sparkSession.range(rounds).select(F.col("id").cast("int").alias("round"))))
+    best = min(many.groupBy("round").applyInPandas(task, "round int, cost double, s string, t string, e string").collect(), key=lambda r: (r["cost"], r["round"]))
+    return merge.apply(g, {d: {int(a): b for a, b in json.loads(best[c]).items()} for d, c in zip("STE", "ste")})
+
+
+def fit_distributed(points: DataFrame, rounds: int = 10, seed: int = 0, prior: str = "at_most", post: bool = True) -> Grid:
+    """The fit for points that no task holds: merges on cells and moves on all points in turn, until neither lowers the cost; the null grid where that is not worse."""
+    points = cut(points)
+    g = merge_cells(_rest(coarse_grid(points, prior=prior)), rounds=rounds, seed=seed)
+    while post:
+        g, moved = refine.alternate(g)
+        if not moved:
+            break
+        merged = merge_cells(g)
+        if cost(merged) >= cost(g) - kernel.EPS:
+            break
+        g = _rest(merged)
+    return grid.null(points, prior) if score.null_cost(points) <= cost(g) + kernel.EPS else g
 
 
 def fit(points: DataFrame, rounds: int = 10, seed: int = 0, start: str = "coarse", pre: bool = True, post: bool = True, prior: str = "at_most", max_kernel_points: int = KERNEL_POINTS) -> Grid:
     """The best grid found; no option needs to be set.
 
-    Up to max_kernel_points folded points every start sees all of them. Above, time is cut coarsely first (so that the
-    first shuffle is short), merged in distributed rounds until a task can hold the cells, fitted there, and then
-    refined on the full points by moves of values and bounds.
+    Up to max_kernel_points folded points every start sees all of them. Above, time is cut coarsely; if a task holds the
+    points folded so, it is fitted there, and values and bounds are refined on the full points. Else fit_distributed.
     """
     n = points.count()
     if n <= max_kernel_points:
         return restarts(points, rounds, seed, start=start, pre=pre, post=post, prior=prior)[1]
-    g = coarse_grid(points, prior=prior)
-    g = _rest(g)
-    if g.laid.select("s", "t_part", "e").distinct().count() > max_kernel_points:
-        g, _ = greedy_batched(g, until_cells=max_kernel_points)
-    top = g.t_parts.select("t_part", "t_hi")
-    folded = g.laid.join(F.broadcast(top), "t_part").groupBy("s", F.col("t_hi").alias("t"), "e").agg(F.sum("n").cast("long").alias("n"))
+    cuts = quantile_cuts(points, CAP)
+    part = interval_of(F.col("t"), cuts) if len(cuts) <= 32 else lookup_interval(F.col("t"), cuts)
+    folded = points.groupBy("s", part.alias("i"), "e").agg(F.sum("n").cast("long").alias("n"), F.max("t").alias("hi"))
     if folded.count() > max_kernel_points:
-        return refine.alternate(g)
-    _, small = restarts(folded, rounds, seed, prior=prior)
-    cuts = [r["t_hi"] for r in small.t_parts.orderBy("t_part").collect()][:-1]
-    full = grid.apply(points, small.s_values.select("value", "part"), cuts, small.e_values.select("value", "part"), prior)
-    return refine.alternate(full) if post else full
+        return fit_distributed(points, rounds, seed, prior, post)
+    top = folded.groupBy("i").agg(F.max("hi").alias("t"))
+    _, small = restarts(folded.drop("hi").join(F.broadcast(top), "i").select("s", "t", "e", "n"), rounds, seed, prior=prior)
+    bounds = [r["t_hi"] for r in small.t_parts.orderBy("t_part").collect()][:-1]
+    full = grid.apply(points, small.s_values.select("value", "part"), bounds, small.e_values.select("value", "part"), prior)
+    return refine.alternate(_rest(full))[0] if post else full
