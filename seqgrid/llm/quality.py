@@ -12,7 +12,7 @@ into one table of 65536 byte pairs, so a filter bank costs three look-ups for tw
 
 Defined results: null or empty text scores 0 and is rejected. Without labelled documents, or with one class
 only, every other text scores the smoothed share of good labels (0.5 without labels) and is kept from 0.5 on.
-Repeated rows score alike; further columns are ignored by score() and kept by keep_good().
+A document labelled both good and not, or toxic in any row, is a reject. Repeated rows score alike; further columns are ignored by score() and kept by keep_good().
 """
 
 from __future__ import annotations
