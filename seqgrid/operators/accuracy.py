@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -25,6 +26,17 @@ def ari(pred: DataFrame, truth: DataFrame) -> DataFrame:
     return cells.crossJoin(rows).crossJoin(cols).select(F.when(most == expected, 1.0).otherwise((F.col("ij") - expected) / (most - expected)).alias("ari"))
 
 
+def ari_of(a: np.ndarray, b: np.ndarray) -> float:
+    """The index of two label arrays, inside a task."""
+    table = np.unique(np.stack([np.unique(a, return_inverse=True)[1], np.unique(b, return_inverse=True)[1]]), axis=1, return_counts=True)
+    (x, y), n = table[0], table[1]
+    two = lambda v: float((v * (v - 1) / 2).sum())
+    ij, i, j, all_ = two(n), two(np.bincount(x, n)), two(np.bincount(y, n)), two(np.array([len(a)]))
+    expected = i * j / all_ if all_ else 0.0
+    most = (i + j) / 2
+    return 1.0 if most == expected else (ij - expected) / (most - expected)
+
+
 def cut_recovery(found: DataFrame, true: DataFrame, tolerance: float) -> DataFrame:
     """One row (precision, recall) of (cut) tables: a cut counts when the nearest one of the other table is within the tolerance."""
     f, t = found.select(F.col("cut").cast("double").alias("f")), true.select(F.col("cut").cast("double").alias("t"))
@@ -40,6 +52,15 @@ def threshold(results: DataFrame) -> DataFrame:
     return good.groupBy("cm", "eta").agg(F.min(F.when(F.col("held") == 1, F.col("N"))).alias("detected_from"))
 
 
+def discovery(results: DataFrame) -> DataFrame:
+    """(cm, eta, events_from, times_from, sequences_from): the least N from which on the clusters of events, all bounds, and the clusters of sequences are found in every larger run."""
+    w = Window.partitionBy("cm", "eta").orderBy(F.col("N").desc()).rowsBetween(Window.unboundedPreceding, 0)
+    held = lambda good: F.min(F.when(good, 1).otherwise(0)).over(w)
+    one = results.withColumns({"fe": held(F.col("ari_e") >= 1 - 1e-9), "ft": held(F.col("recall") >= 1 - 1e-9), "fs": held(F.col("ari") >= 1 - 1e-9)})
+    first = lambda c, name: F.min(F.when(F.col(c) == 1, F.col("N"))).alias(name)
+    return one.groupBy("cm", "eta").agg(first("fe", "events_from"), first("ft", "times_from"), first("fs", "sequences_from"))
+
+
 def stability(results: DataFrame) -> DataFrame:
     """(cm, eta, k_s, k_t, k_e, runs): how the numbers of parts of the runs with index 1 spread; growth with N would be over-fitting."""
     ok = results.where("ari >= 1 - 1e-9")

@@ -56,6 +56,13 @@ def matrix(measured: DataFrame, value: str) -> DataFrame:
     return wide
 
 
+def cells_of(wide: DataFrame, value: str) -> DataFrame:
+    """matrix() undone: (focus, row, col, value) of the cells that aren't null."""
+    columns = [c for c in wide.columns if c not in ("focus", "row")]
+    long = wide.unpivot(["focus", "row"], columns, "c", value).where(F.col(value).isNotNull())
+    return long.select("focus", "row", F.substring("c", 2, 10).cast("int").alias("col"), value)
+
+
 def density(g: Grid) -> DataFrame:
     """(s_part, t_part, e_part, p, density): the cell's probability, and that over interval width and cluster sizes; width 0 counts 1."""
     N = F.lit(float(max(g.shape().N, 1)))

@@ -11,7 +11,7 @@ from seqgrid.functions import encode, mathx, sqlapi
 from seqgrid.operators import accuracy, assign, grid, hierarchy, insight, merge, refine, score, typical
 from seqgrid.plans import baseline
 from seqgrid.plans import fit as fits
-from seqgrid.sources import points, workloads
+from seqgrid.sources import persist, points, workloads
 from seqgrid.sources.workloads import MONTH, START, TRUE_CUTS
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -283,6 +283,28 @@ def window_counts(spark, sf_dir):
     return stream.window_counts(p, "1 day").select(F.unix_micros("start").alias("start"), "e", "n")
 
 
+@query("SELECT e, k, count(*) AS n FROM (SELECT event_type AS e, (json_extract_string(props, '$.k'))::BIGINT AS k FROM events) WHERE k IS NOT NULL GROUP BY ALL")
+def json_field_counts(spark, sf_dir):
+    ev = workloads.load(spark, sf_dir, "events")
+    return ev.select(F.col("event_type").alias("e"), F.get_json_object("props", "$.k").cast("long").alias("k")).where("k is not null").groupBy("e", "k").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("SELECT unnest([100, 250]) AS cut, 'both' AS side UNION ALL SELECT 400, 'first only'")
+def cuts_intersect_except(spark, sf_dir):
+    """Bounds that two grids share, and those of the first alone."""
+    table = lambda cuts: spark.createDataFrame([(c,) for c in cuts], "cut int")
+    a, b = table([100, 250, 400]), table([100, 250, 600])
+    return a.intersect(b).withColumn("side", F.lit("both")).unionByName(a.exceptAll(b).withColumn("side", F.lit("first only")))
+
+
+@query(f"""WITH {RAW}, w AS (SELECT s, t, sum(n) OVER (PARTITION BY s ORDER BY t RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS n FROM p)
+SELECT s, max(n)::BIGINT AS most FROM w GROUP BY s""")
+def busiest_day(spark, sf_dir):
+    """The most points of a sequence within a day, by a frame over time."""
+    w = Window.partitionBy("s").orderBy("t").rangeBetween(-86_400_000_000, 0)
+    return workloads.raw_events(spark, sf_dir).select("s", F.sum("n").over(w).alias("n")).groupBy("s").agg(F.max("n").alias("most"))
+
+
 # ---- grids and their score ----
 
 
@@ -361,6 +383,12 @@ def score_finest(spark, sf_dir):
     return _one(spark, "cost", score.finest_cost(workloads.conversations(spark, sf_dir)), 2)
 
 
+@query("""SELECT (dense_rank() OVER (ORDER BY conv_id) - 1)::INT AS s_part, (dense_rank() OVER (ORDER BY turn) - 1)::INT AS t_part, (dense_rank() OVER (ORDER BY role) - 1)::INT AS e_part, n
+FROM (SELECT conv_id, turn, role, count(*) AS n FROM conversations GROUP BY ALL)""")
+def finest_cells(spark, sf_dir):
+    return grid.finest(workloads.conversations(spark, sf_dir)).cells
+
+
 @query(f"WITH {RAW}{GRID}, x AS ({TERMS}) SELECT round(sum(value), 2) AS likelihood FROM x WHERE term NOT LIKE '%prior' AND term <> 'shape'")
 def likelihood_only(spark, sf_dir):
     t = terms(workloads.fixed_grid(spark, sf_dir)).where(F.col("term").isin(*score.LIKELIHOOD))
@@ -542,6 +570,13 @@ def view_matrix(spark, sf_dir):
     return insight.matrix(insight.view(_truth(spark, sf_dir)), "freq").select("focus", "row", "c0", "c1", "c2", "c3")
 
 
+@query(_view_sql("S", "SELECT focus, row, col, freq FROM v"))
+def view_long_again(spark, sf_dir):
+    """The matrix unpivoted to cells again; empty cells drop out."""
+    wide = insight.matrix(insight.view(_truth(spark, sf_dir)), "freq")
+    return insight.cells_of(wide, "freq")
+
+
 @query(f"""WITH {truth_laid(0.5)}{GRID}, tw AS (SELECT t_part, greatest((max(t) - min(t))::DOUBLE, 0) / 1e12 AS w FROM laid GROUP BY t_part)
 SELECT s_part, cells.t_part, e_part, round(n / h.nn, 6) AS p, round(n / h.nn / (w * sp.m * ep.m), 8) AS density FROM cells JOIN tw USING (t_part) JOIN sp ON sp.part = s_part JOIN ep ON ep.part = e_part, h""")
 def density(spark, sf_dir):
@@ -611,7 +646,7 @@ def fit_five_patterns_ari(spark, sf_dir):
     return accuracy.ari(fits.fit(p).s_values, workloads.truth_of_users(p, 5))
 
 
-@query()
+@query("SELECT 1.0::DOUBLE AS ari")
 def fit_ten_patterns_ari(spark, sf_dir):
     p = workloads.many_patterns(spark, sf_dir, 10, 0.1, cm=10)
     return accuracy.ari(fits.fit(p).s_values, workloads.truth_of_users(p, 10))
@@ -623,6 +658,14 @@ def fit_lineitem_patterns_ari(spark, sf_dir):
     return accuracy.ari(fits.fit(p).s_values, workloads.truth_of_users(p))
 
 
+@query("SELECT 1.0::DOUBLE AS ari, true AS as_cheap_as_truth")
+def fit_beyond_a_task(spark, sf_dir):
+    """The distributed fit, forced by a task that may hold next to nothing: patterns found, at no more than the planted grid's cost."""
+    p = workloads.two_patterns(spark, sf_dir, 0.1)
+    g = fits.fit(p, max_kernel_points=200)
+    return accuracy.ari(g.s_values, workloads.truth_of_users(p)).withColumn("as_cheap_as_truth", F.lit(score.cost(g) <= score.cost(workloads.truth_grid(p)) + 1e-6))
+
+
 CONV_TRUTH = "SELECT conv_id AS value, max((role = 'system')::INT) AS sys FROM conversations GROUP BY conv_id"
 
 
@@ -672,6 +715,14 @@ def _no_structure(name: str, table: str, sql_table: str) -> None:
 
 _no_structure("fit_raw_events", "raw_events", "SELECT 1 AS k_s, 1 AS k_t, 1 AS k_e")
 _no_structure("fit_orders", "orders", "SELECT 1 AS k_s, 1 AS k_t, 1 AS k_e")
+_no_structure("fit_hour_of_day", "by_hour", "SELECT 1 AS k_s, 1 AS k_t, 1 AS k_e")
+
+
+@query("SELECT 1 AS k_e, true AS customers_and_days")
+def fit_star_join(spark, sf_dir):
+    """Part types are drawn at random: one cluster. The lines of an order share customer and day, which the grid finds."""
+    h = fits.fit(workloads.star_points(spark, sf_dir), rounds=1).shape()
+    return spark.createDataFrame([(h.kE, h.kS > 1 and h.kT > 1)], "k_e int, customers_and_days boolean")
 
 
 @query("SELECT 0::BIGINT AS steps")
@@ -703,13 +754,13 @@ def greedy_distributed(spark, sf_dir):
 
 @query()
 def restart_curve(spark, sf_dir):
-    log, _ = fits.restarts(workloads.two_patterns(spark, sf_dir, 0.3, cm=10, n=1024), 10)
+    log, _ = fits.restarts(workloads.two_patterns(spark, sf_dir, 0.3, cm=10), 10)
     return log.select("round", r4("cost").alias("cost"), r4("best_so_far").alias("best_so_far"), "k_s", "k_t", "k_e", "merges", "evaluations", "moves")
 
 
 @query()
 def neighbourhood_search(spark, sf_dir):
-    p = workloads.two_patterns(spark, sf_dir, 0.3, cm=10, n=1024)
+    p = workloads.two_patterns(spark, sf_dir, 0.3, cm=10)
     _, g = fits.restarts(p, 1)
     return fits.neighbourhood(p, g, 8)[0].select("wave", r4("cost").alias("cost"), r4("best_so_far").alias("best_so_far"))
 
@@ -717,7 +768,7 @@ def neighbourhood_search(spark, sf_dir):
 @query()
 def fit_variants(spark, sf_dir):
     """One run, ten runs, without improvement before or after, from the finest grid: parts and cost of each."""
-    p = workloads.two_patterns(spark, sf_dir, 0.2, cm=10, n=512)
+    p = workloads.two_patterns(spark, sf_dir, 0.2, cm=10)
     rows = []
     for name, options in (("one run", {"rounds": 1}), ("ten runs", {}), ("no pre", {"pre": False}), ("no post", {"post": False}), ("neither", {"pre": False, "post": False}), ("finest start", {"rounds": 1, "start": "finest"}), ("exact prior", {"prior": "exact"})):
         g = fits.fit(p, **options)
@@ -726,6 +777,35 @@ def fit_variants(spark, sf_dir):
     return spark.createDataFrame(rows, "variant string, k_s int, k_t int, k_e int, cost double").withColumn("cost", r4("cost"))
 
 
+@query("SELECT 10::BIGINT AS rounds, true AS falls, true AS neighbours_no_worse, true AS below_null")
+def restarts_hold(spark, sf_dir):
+    """The best so far never rises, a neighbourhood search never ends above its start, and the null grid is the ceiling."""
+    p = workloads.two_patterns(spark, sf_dir, 0.3, cm=10)
+    log, g = fits.restarts(p, 10)
+    curve = [r["best_so_far"] for r in log.orderBy("round").collect()]
+    near, _ = fits.neighbourhood(p, g, 4)
+    after = near.agg(F.min("best_so_far")).first()[0]
+    return spark.createDataFrame([(len(curve), curve == sorted(curve, reverse=True), after <= curve[-1] + 1e-6, curve[-1] <= score.null_cost(p) + 1e-6)], "rounds long, falls boolean, neighbours_no_worse boolean, below_null boolean")
+
+
+@query("SELECT DISTINCT user_id AS s, (user_id % 2)::INT AS part FROM events WHERE user_id >= 100")
+def assign_unseen_parts(spark, sf_dir):
+    """Every unseen sequence goes to the cluster of its pattern."""
+    p = workloads.two_patterns(spark, sf_dir, 0.2)
+    return assign.nearest(workloads.truth_grid(p.where("s < 100")), p.where("s >= 100")).select("s", "part")
+
+
+@query("SELECT 1.0::DOUBLE AS ari, true AS signs")
+def views_of_a_fit(spark, sf_dir):
+    """The fitted grid of half noise: where the patterns use different events at a time, the contrast of the two clusters has opposite signs, and both occur."""
+    p = workloads.two_patterns(spark, sf_dir, 0.5, cm=10)
+    g = fits.fit(p)
+    c = insight.contrast_cells(g)
+    two = c.groupBy("row", "col").agg(F.max("contrast").alias("hi"), F.min("contrast").alias("lo"))
+    signs = two.agg(F.min(((F.abs("hi") < 1e-3) & (F.abs("lo") < 1e-3) | (F.col("hi") > 0) & (F.col("lo") < 0)).cast("int")).alias("a"), F.max((F.col("hi") > 1e-3).cast("int")).alias("b"))
+    return accuracy.ari(g.s_values, workloads.truth_of_users(p)).crossJoin(signs).select("ari", ((F.col("a") == 1) & (F.col("b") == 1)).alias("signs"))
+
+
 # ---- accuracy ----
 
 
@@ -757,36 +837,76 @@ def ari_fixed(spark, sf_dir):
     return accuracy.ari(u.withColumn("part", F.col("value") % 4), u.withColumn("label", F.col("value") % 6)).select(r4("ari", 6).alias("ari"))
 
 
-def sweep(spark: SparkSession, sf_dir: str, cms=(10,), etas=(0.0, 0.3, 0.5), sizes=(64, 128, 512, 2048), rounds: int = 10) -> DataFrame:
-    """(cm, eta, N, ari, k_s, k_t, k_e, seconds): fits of nested subsets of the planted points."""
+CMS, ETAS = (10, 50, 100), (0.0, 0.1, 0.2, 0.3, 0.4, 0.5)
+SWEEP = "cm int, eta double, N int, round int, cost double, ari double, ari_e double, recall double, k_s int, k_t int, k_e int, seconds double"
+
+
+def sweep(spark: SparkSession, sf_dir: str, cms: tuple[int, ...] = CMS, etas: tuple[float, ...] = ETAS, rounds: int = 10) -> DataFrame:
+    """(cm, eta, N, ari, ari_e, recall, k_s, k_t, k_e, cost, seconds): the best fit of every set of the effectiveness experiment, up to the whole table.
+
+    One job: a task for each set and start. ari and ari_e compare sequences and events with the planted clusters; recall is the share of planted bounds found within a fiftieth of the range.
+    """
     import time
 
-    rows = []
-    for cm in cms:
-        for eta in etas:
-            for n in sizes:
-                began = time.time()
-                p = workloads.two_patterns(spark, sf_dir, eta, cm, n)
-                g = fits.fit(p, rounds)
-                h = g.shape()
-                value = accuracy.ari(g.s_values, workloads.truth_of_users(p)).first()[0]
-                rows.append((cm, eta, n, float(value), h.kS, h.kT, h.kE, time.time() - began))
-    return spark.createDataFrame(rows, "cm int, eta double, N int, ari double, k_s int, k_t int, k_e int, seconds double")
+    import numpy as np
+    import pandas as pd
+
+    from seqgrid.plans import kernel
+
+    def task(pdf: pd.DataFrame) -> pd.DataFrame:
+        began, number = time.time(), int(pdf["round"].iloc[0])
+        d, sv, tv, ev = fits.data_of(pdf, "at_most")
+        r = kernel.one_round(d, number, 0)
+        p = r.parts.tidy(d)
+        cuts = tv[np.flatnonzero(np.diff(p.t))] / MONTH
+        recall = float(np.mean([len(cuts) > 0 and np.abs(cuts - c).min() <= 20 for c in TRUE_CUTS]))
+        k = [int(x.max()) + 1 for x in (p.s, p.t, p.e)]
+        return pd.DataFrame([(int(pdf["cm"].iloc[0]), float(pdf["eta"].iloc[0]), int(pdf["size"].iloc[0]), number, r.cost, accuracy.ari_of(p.s, sv % 2), accuracy.ari_of(p.e, ev // 3), recall, *k, time.time() - began)], columns=[c.split()[0] for c in SWEEP.split(", ")])
+
+    sets = workloads.sweep_points(spark, sf_dir, cms, etas)
+    many = sets.crossJoin(F.broadcast(spark.range(rounds).select(F.col("id").cast("int").alias("round"))))
+    runs = many.groupBy("cm", "eta", "size", "round").applyInPandas(task, SWEEP)
+    best = F.min_by(F.struct("ari", "ari_e", "recall", "k_s", "k_t", "k_e", "cost"), F.struct("cost", "round")).alias("x")
+    return runs.groupBy("cm", "eta", "N").agg(best, F.sum("seconds").alias("seconds")).select("cm", "eta", "N", "x.*", "seconds")
+
+
+_SWEPT: dict[tuple[str, str], DataFrame] = {}
+
+
+def _swept(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The whole sweep, run once a session and table: a row for each set, in the shared folder."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _SWEPT:
+        _SWEPT[key] = persist.cut(sweep(spark, sf_dir))
+    return _SWEPT[key]
 
 
 @query()
 def ari_sweep(spark, sf_dir):
-    return sweep(spark, sf_dir).drop("seconds").withColumn("ari", r4("ari", 6))
+    return _swept(spark, sf_dir).select("cm", "eta", "N", r4("ari", 6).alias("ari"), r4("ari_e", 6).alias("ari_e"), r4("recall", 6).alias("recall"), "k_s", "k_t", "k_e", r4("cost").alias("cost"))
+
+
+@query("SELECT cm, eta::DOUBLE AS eta, true AS found_at_most_points, true AS stable FROM (SELECT unnest([10, 50, 100]) AS cm), (SELECT unnest([0.0, 0.1, 0.2, 0.3, 0.4, 0.5]) AS eta)")
+def sweep_holds(spark, sf_dir):
+    """The patterns are found on the whole table for every number of sequences and share of noise, and where they are found no cluster is added."""
+    x = _swept(spark, sf_dir)
+    last = F.max_by(F.col("ari") >= 1 - 1e-9, "N").alias("found_at_most_points")
+    return x.groupBy("cm", "eta").agg(last, F.max(F.when(F.col("ari") >= 1 - 1e-9, F.col("k_s"))).alias("k")).select("cm", "eta", "found_at_most_points", (F.col("k") == 2).alias("stable"))
 
 
 @query()
 def detection_threshold(spark, sf_dir):
-    return accuracy.threshold(sweep(spark, sf_dir, etas=(0.0, 0.3)))
+    return accuracy.threshold(_swept(spark, sf_dir))
+
+
+@query()
+def discovery_order(spark, sf_dir):
+    return accuracy.discovery(_swept(spark, sf_dir))
 
 
 @query()
 def part_stability(spark, sf_dir):
-    return accuracy.stability(sweep(spark, sf_dir, etas=(0.0,), sizes=(256, 1024, 4096)))
+    return accuracy.stability(_swept(spark, sf_dir))
 
 
 # ---- hierarchy ----
@@ -815,6 +935,36 @@ def dissimilarity_time(spark, sf_dir):
     return hierarchy.dissimilarity(_conv_grid(spark, sf_dir), "T").select("dim", "left", "right", r4("delta").alias("delta"))
 
 
+@query(f"""WITH {CONV}{GRID}, {NULL}, {delta_sql('S')}, {delta_sql('T')}, {delta_sql('E')}, x AS ({TERMS}),
+u AS (SELECT delta FROM d_s UNION ALL SELECT delta FROM d_t UNION ALL SELECT delta FROM d_e), c AS (SELECT sum(value) AS c0 FROM x)
+SELECT (ks + kt + ke - 3)::BIGINT AS steps, round((SELECT min(delta) FROM u), 3) AS first_delta, round((SELECT {NULL_VALUE} FROM m), 2) AS last_cost, 0.0::DOUBLE AS last_info,
+ round(((SELECT c0 + (SELECT min(delta) FROM u) FROM c) - (SELECT {NULL_VALUE} FROM m)) / ((SELECT c0 FROM c) - (SELECT {NULL_VALUE} FROM m)), 5) AS first_info FROM h""")
+def hierarchy_ends(spark, sf_dir):
+    """The path has a step for every part but three, begins with the best of all merges, and ends at the null grid."""
+    m = hierarchy.build(_conv_grid(spark, sf_dir))
+    return m.agg(F.count(F.lit(1)).alias("steps"), r4(F.min_by("delta", "step"), 3).alias("first_delta"), r4(F.max_by("cost", "step"), 2).alias("last_cost"), r4(F.max_by("info_ratio", "step"), 5).alias("last_info"), r4(F.min_by("info_ratio", "step"), 5).alias("first_info"))
+
+
+@query("SELECT unnest(['by cells', 'by clusters', 'by information', 'replay']) AS cut, true AS holds")
+def cuts_hold(spark, sf_dir):
+    """Each cut is the shortest (or, by information, the longest) path that holds what was asked, and costs what the path says; replaying labels in SQL gives its parts."""
+    g = _conv_grid(spark, sf_dir)
+    m = hierarchy.build(g)
+    rows = m.orderBy("step").collect()
+    h = g.shape()
+    out = []
+    for name, want, holds in (("by clusters", {"k_t": 3}, lambda r: r["k_t"] <= 3), ("by cells", {"max_cells": 12}, lambda r: r["k_s"] * r["k_t"] * r["k_e"] <= 12), ("by information", {"min_info": 0.8}, lambda r: r["info_ratio"] < 0.8)):
+        first = next((i for i, r in enumerate(rows) if holds(r)), len(rows))
+        at = first - 1 if name == "by information" else first
+        small = hierarchy.cut(g, m, **want)
+        sizes = (rows[at]["k_s"], rows[at]["k_t"], rows[at]["k_e"]) if at >= 0 else (h.kS, h.kT, h.kE)
+        x = small.shape()
+        out.append((name, (x.kS, x.kT, x.kE) == sizes and (at < 0 or abs(score.cost(small) - rows[at]["cost"]) < 1e-4)))
+    labels = {r["part"]: r["label"] for r in sqlapi.replay(m, "T", len(rows), g.parts("T")).collect()}
+    out.append(("replay", len(labels) == h.kT and set(labels.values()) == {min(labels)}))
+    return spark.createDataFrame(out, "cut string, holds boolean")
+
+
 def _cut(name: str, **want) -> None:  # noqa: ANN003
     def run(spark, sf_dir):
         g = _conv_grid(spark, sf_dir)
@@ -859,9 +1009,8 @@ def info_ratio_fixed_path(spark, sf_dir):
 
 @query()
 def docs_language(spark, sf_dir):
-    """Clusters of documents by their common words, coarsened to four, against their languages."""
-    p = workloads.documents(spark, sf_dir)
-    g = fits.fit(baseline.no_time(p), rounds=4)
+    """Clusters of documents by their common words and where they stand, coarsened to four, against their languages."""
+    g = fits.fit(workloads.documents(spark, sf_dir))
     if g.shape().kS > 4:
         g = hierarchy.cut(g, hierarchy.build(g), k_s=4)
     truth = workloads.load(spark, sf_dir, "documents").select(F.col("doc_id").alias("value"), F.col("lang").alias("label"))

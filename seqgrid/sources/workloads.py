@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from seqgrid.functions import encode
 from seqgrid.functions.encode import time_key
 from seqgrid.operators import grid
 from seqgrid.operators.grid import Grid
@@ -27,9 +28,9 @@ def draws(row_id: Column) -> tuple[Column, Column]:
     return x1.cast("long"), x2.cast("long")
 
 
-def _plant(df: DataFrame, group: Column, eta: float) -> DataFrame:
+def _plant(df: DataFrame, group: Column, eta: float | Column) -> DataFrame:
     x1, x2 = draws(F.col("id"))
-    noisy = x1 % 1000 < int(round(1000 * eta))
+    noisy = x1 % 1000 < (F.round(eta * 1000) if isinstance(eta, Column) else int(round(1000 * eta)))
     e = F.when(noisy, (group * 3 + 3 + x2 % 9) % 12).otherwise(group * 3 + x2 % 3)
     return df.withColumn("e", e.cast("int"))
 
@@ -54,6 +55,23 @@ def two_patterns(spark: SparkSession, sf_dir: str, eta: float = 0.0, cm: int | N
     return points.from_table(df.withColumn("t", t), "user", "t", "e")
 
 
+def sweep_points(spark: SparkSession, sf_dir: str, cms: tuple[int, ...], etas: tuple[float, ...], least: int = 64) -> DataFrame:
+    """(cm, eta, size, s, t, e, n): the two patterns for every number of sequences and share of noise, on nested subsets whose sizes double from least up to the whole table, in one table."""
+    carrier = _carrier(spark, sf_dir)
+    total = carrier.count()
+    sizes = []
+    while least < total:
+        sizes.append(least)
+        least *= 2
+    ranked = encode.ordered_ids(carrier.select("id", "user", "uo", F.struct(points.scramble(F.col("id")), "id").alias("key")), "key", name="rank")
+    runs = spark.createDataFrame([(cm, eta) for cm in cms for eta in etas], "cm int, eta double")
+    df = ranked.crossJoin(F.broadcast(runs)).withColumn("user", F.col("user") % (2 * F.col("cm")))
+    lo = lambda cuts: sum(((F.col("uo") > c * MONTH).cast("int") for c in cuts), F.lit(0))
+    planted = _plant(df, F.when(F.col("user") % 2 == 0, lo(CUTS[0])).otherwise(3 - lo(CUTS[1])), F.col("eta"))
+    nested = planted.withColumn("size", F.explode(F.filter(F.array(*[F.lit(k) for k in [*sizes, total]]), lambda k: k > F.col("rank"))))
+    return nested.groupBy("cm", "eta", "size", F.col("user").alias("s"), F.col("uo").alias("t"), "e").agg(F.count(F.lit(1)).alias("n"))
+
+
 def many_patterns(spark: SparkSession, sf_dir: str, patterns: int = 5, eta: float = 0.0, cm: int | None = 10) -> DataFrame:
     """patterns rotations of the four event groups with shifted cuts, by user modulo patterns."""
     df = _carrier(spark, sf_dir)

@@ -193,9 +193,13 @@ def test_batched_merging_is_exact_and_close(spark):
 
 def test_fit_beyond_a_task(spark):
     p = synth.two_patterns(spark, 6000, 5, 0.2, seed=5)
-    g = fits.fit(p, rounds=4, max_kernel_points=3000)
-    assert accuracy.ari(g.s_values, workloads.truth_of_users(p)).first()[0] == 1
-    assert score.cost(g) <= score.cost(synth.truth_grid(p)) + 60
+    want = score.cost(fits.fit(p, rounds=4))
+    for most in (3000, 100):  # a task that holds the points once time is cut coarsely, and one that holds no points
+        g = fits.fit(p, rounds=4, max_kernel_points=most)
+        assert accuracy.ari(g.s_values, workloads.truth_of_users(p)).first()[0] == 1
+        assert score.cost(g) <= want + 1e-6
+    noise = p.withColumn("e", (F.xxhash64("s", "t") % 6).cast("int"))
+    assert fits.fit(noise, rounds=2, max_kernel_points=100).shape().k == 1
 
 
 def test_fit_finds_planted_patterns_and_nothing_in_noise(spark):
@@ -214,6 +218,23 @@ def test_fit_finds_planted_patterns_and_nothing_in_noise(spark):
     assert score.cost(better) <= score.cost(synth.truth_grid(p)) + 1e-6
 
 
+def test_splits_are_exact_and_bring_bounds_back(spark):
+    p = synth.two_patterns(spark, 3000, 5, 0.1, seed=11)
+    g = grid.lay(p, F.col("s") % 2, F.lit(0), F.floor(F.col("e") / 3))
+    now = score.cost(g)
+    step = merge.variable_step(g, "T", -1)
+    for r in refine.split_deltas(g).orderBy(F.xxhash64("t")).limit(3).collect():
+        assert score.cost(refine._labelled(g, [r["t"]])) - now == pytest.approx(r["delta"] + step, abs=1e-6)
+    h, n = refine.split_intervals(g)
+    assert n >= 6 and score.cost(refine.move_bounds(h)[0]) <= score.cost(synth.truth_grid(p)) + 1e-6
+
+
+def test_quantiles_follow_the_weights(spark):
+    p = spark.createDataFrame([("a", t, "x", 9 if t < 10 else 1) for t in range(100)], "s string, t int, e string, n long")
+    exact, quick = encode.quantile_cuts(p, 4, exact=True), encode.quantile_cuts(p, 4)
+    assert all(abs(a - b) <= 1 for a, b in zip(exact, quick)) and quick[0] < 10
+
+
 def test_hierarchy(spark):
     p = synth.two_patterns(spark, 3000, 5, 0.1, seed=7)
     g = synth.truth_grid(p)
