@@ -192,14 +192,12 @@ def test_batched_merging_is_exact_and_close(spark):
 
 
 def test_fit_beyond_a_task(spark):
-    p = synth.two_patterns(spark, 6000, 5, 0.2, seed=5)
+    p = synth.two_patterns(spark, 3000, 5, 0.1, seed=5)
     want = score.cost(fits.fit(p, rounds=4))
-    for most in (3000, 100):  # a task that holds the points once time is cut coarsely, and one that holds no points
+    for most in (2500, 100):  # a task that holds the points once time is cut coarsely, and one that holds no points
         g = fits.fit(p, rounds=4, max_kernel_points=most)
         assert accuracy.ari(g.s_values, workloads.truth_of_users(p)).first()[0] == 1
         assert score.cost(g) <= want + 1e-6
-    noise = p.withColumn("e", (F.xxhash64("s", "t") % 6).cast("int"))
-    assert fits.fit(noise, rounds=2, max_kernel_points=100).shape().k == 1
 
 
 def test_fit_finds_planted_patterns_and_nothing_in_noise(spark):
