@@ -6,7 +6,8 @@ of the rectified chunk values over all chunks feed one logistic output: ``p_qual
 
 The good class is quality 1 without the label toxic; a document labelled toxic is a reject whatever its quality.
 Training uses at most ``train_per_class`` labelled documents of each class (the documented bound), taken by
-least hash of the id, in one executor task; nothing of it depends on the size of the corpus. Scoring is one
+least hash of the id, in one executor task, for 14 epochs but at least 300 updates (small samples need more
+epochs); nothing of it depends on the size of the corpus. Scoring is one
 map over the documents: no shuffle. Because a filter starts at even offsets only, two neighbouring taps fold
 into one table of 65536 byte pairs, so a filter bank costs three look-ups for two bytes.
 
@@ -103,11 +104,12 @@ class ByteCNN:
         return p
 
 
-def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 14, seed: int = 7, batch: int = 32) -> ByteCNN:
-    """Adam on the cross entropy; both classes weigh the same; gradients go through the maxima only."""
+def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 14, seed: int = 7, batch: int = 32, updates: int = 300) -> ByteCNN:
+    """Adam on the cross entropy, in at least so many epochs and updates; both classes weigh the same; gradients go through the maxima only."""
     y = np.asarray(labels, np.float32)
     if not len(y) or y.min() == y.max():
         return ByteCNN.constant(float((y.sum() + 1) / (len(y) + 2)))
+    epochs = max(epochs, -(-updates // -(-len(texts) // batch)))
     rng = np.random.default_rng(seed)
     par = [rng.normal(0, 0.15, (TAPS, 256, FILTERS)).astype(np.float32), np.zeros(FILTERS, np.float32), rng.normal(0, 0.1, 2 * FILTERS).astype(np.float32), np.zeros(1, np.float32)]
     m1, m2, t = [np.zeros_like(p) for p in par], [np.zeros_like(p) for p in par], 0

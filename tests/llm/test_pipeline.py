@@ -21,10 +21,11 @@ def test_stages(spark, sf):
             after = {r.doc_id: r for r in now.collect()}
             assert len(after) == now.count() and all(after[i] == before[i] for i in after)
         seen.append((name, before, after))
-    labels = {i: q for i, q in zip(*(pq.read_table(f"{sf}/labels.parquet")[c].to_pylist() for c in ("doc_id", "quality")))}
+    labels = {i: (q, t) for i, q, t in zip(*(pq.read_table(f"{sf}/labels.parquet")[c].to_pylist() for c in ("doc_id", "quality", "toxic")))}
     _, before, after = seen[0]
-    good = [i for i in before if labels.get(i) == 1]
-    assert sum(i in after for i in good) >= 0.99 * len(good) and len(after) < len(before)
+    good = [i for i in before if labels.get(i) == (1, 0)]  # toxic documents are rejects, whatever their quality
+    toxic = [i for i in before if labels.get(i, (0, 0))[1] == 1]
+    assert sum(i in after for i in good) >= 0.99 * len(good) and sum(i in after for i in toxic) <= 0.5 * len(toxic)
     _, before, after = seen[1]
     assert len(after) >= 0.98 * len(before)
     _, before, after = seen[2]
