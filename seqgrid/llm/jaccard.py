@@ -14,14 +14,17 @@ Every text is a query against all others; pairs with Jaccard similarity of at le
    columns of the query's tokens.
 
 At the threshold itself a pair shares no key with probability (1 - t^ROWS)^BANDS, 1.4 % at 0.5, and far less
-above it. Nothing is capped: a group of more than BLOCK_TOKENS tokens is cut in blocks which its own members
-probe too. Only texts with a candidate are read again; their ids are broadcast up to BROADCAST_IDS, else joined.
+above it. Nothing is capped: the members of a group of more than BLOCK_TOKENS tokens, and the nodes that probe it, are
+cut in blocks of which any two that have to meet do so in a task of their own, so a task holds about two blocks
+whatever the size of the group; of the links keep_one needs it keeps a forest only. Only texts with a
+candidate are read again; their ids are broadcast up to BROADCAST_IDS, else joined.
 
-Result of every_pair(), which op6 returns: (doc_id_a, doc_id_b, jaccard), doc_id_a < doc_id_b, for all rows: a pair
-of nodes gives all pairs of their texts, and a node all pairs within it. join() keeps the short form for keep_one():
+Texts without words (null, empty) have no link; rows with null ids are left out, repeated rows count once, and further
+columns are ignored.
+
+every_pair(), which op6 returns, lists all pairs of ids, so its rows grow as the square of the groups of copies; join() has the short form:
 pairs of different sets between their representatives, and one pair of each further text of an equal set with its
-representative. Defined results: texts without words (null, empty) and null ids are in no pair;
-repeated rows of one id give no pair; further columns are ignored.
+representative. Neither pairs an id with itself.
 """
 
 from __future__ import annotations
@@ -30,13 +33,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, GroupedData, SparkSession
 from pyspark.sql import functions as F
 
 from seqgrid.llm.common import byte_slices, cut, keyed_docs, load, mix, shingle_table, signed, word_table
 
 WIDTH, BANDS, ROWS, THRESHOLD = 3, 32, 3, 0.5
-BLOCK_TOKENS, BROADCAST_IDS = 4 << 20, 4 << 20
+BLOCK_TOKENS, BROADCAST_IDS = 1 << 18, 4 << 20
 BLOCK_IDS = 1024  # texts of one side of a pair of nodes that one row expands
 _RNG = np.random.default_rng(20240229)
 _MUL = _RNG.integers(1, 1 << 32, BANDS * ROWS, dtype=np.uint32) | np.uint32(1)
@@ -86,62 +89,98 @@ def signatures(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     return keyed_docs(docs).where("doc_id is not null").mapInArrow(run, "doc_id long, node long, n int, keys array<long>")
 
 
-def _matrix_join(threshold: float, spanning: bool, key: str = "rep"):
+def _token_arrays(table: pa.Table, order: np.ndarray) -> list[np.ndarray]:
+    """The token sets of the rows in order, as views of the table's own bytes."""
+    raw = table["tokens"].combine_chunks().cast(pa.large_binary())
+    offs = np.frombuffer(raw.buffers()[1], np.int64)[raw.offset : raw.offset + len(raw) + 1]
+    data = np.frombuffer(raw.buffers()[2], np.uint8)
+    return [data[offs[i] : offs[i + 1]].view(np.uint64) for i in order]
+
+
+def _opened(sets: list[np.ndarray], m: int, threshold: float, own: bool) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(q, rows of members, their similarity) of each row with a partner among the first m, the members; pairs of members once, and only if own."""
+    if not m:
+        return
     share = threshold / (1 + threshold)
+    size = np.array([len(x) for x in sets], np.int64)
+    union, column = np.unique(np.concatenate(sets[:m]), return_inverse=True)
+    owner = np.repeat(np.arange(m, dtype=np.int32), size[:m])[np.argsort(column, kind="stable")]
+    ptr = np.concatenate([[0], np.cumsum(np.bincount(column, minlength=len(union)))])
+    edge = np.concatenate([[0], np.cumsum(size[:m])])
+    ahead = ptr[:-1].copy()  # of each token's members, the first behind the rows that are done
+    least = size[:m].min()
+    for q in range(0 if own else m, len(sets)):
+        if q < m:
+            cols = column[edge[q] : edge[q + 1]]
+            ahead[cols] += 1
+            first = ahead[cols]
+        else:
+            at = np.searchsorted(union, sets[q])
+            at[at == len(union)] = 0
+            cols = at[union[at] == sets[q]]
+            if len(cols) < share * (size[q] + least):
+                continue
+            first = ptr[cols]
+        lens = ptr[cols + 1] - first
+        meets = owner[np.repeat(first - (np.cumsum(lens) - lens), lens) + np.arange(lens.sum())]
+        if len(meets) < m // 8:
+            at, common = np.unique(meets, return_counts=True)
+        else:
+            common = np.bincount(meets, minlength=m)
+            at = np.flatnonzero(common)
+            common = common[at]
+        j = common / (size[q] + size[at] - common)
+        good = j >= threshold
+        if good.any():
+            yield q, at[good], j[good]
+
+
+class _Forest:
+    """Connected components of rows; as many steps over all rows as there are unions."""
+
+    def __init__(self, n: int):
+        self.label = np.arange(n)
+
+    def link(self, q: int, to: np.ndarray) -> None:
+        label = self.label
+        for r in np.unique(label[to]).tolist():
+            mine = label[q]
+            if r != mine:
+                label[label == max(r, mine)] = min(r, mine)
+
+    def edges(self, name: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(lesser, greater) names of a spanning forest."""
+        row = np.flatnonzero(self.label != np.arange(len(self.label)))
+        a, b = name[self.label[row]], name[row]
+        lo, hi = np.minimum(a, b), np.maximum(a, b)
+        return lo[lo != hi], hi[lo != hi]
+
+
+def _rows(table: pa.Table) -> tuple[np.ndarray, int, bool]:
+    """Order of the rows with the members first; how many they are; whether this block has the pairs of its members."""
+    member = table["member"].to_numpy(zero_copy_only=False)
+    own = "lo" not in table.column_names or table["lo"][0] == table["hi"][0]
+    return np.argsort(~member, kind="stable"), int(member.sum()), own
 
+
+def _matrix_join(threshold: float, spanning: bool, key: str = "rep"):
     def open_group(table: pa.Table) -> pa.Table:
-        member = table["member"].to_numpy(zero_copy_only=False)
-        order = np.argsort(~member, kind="stable")
-        m = int(member.sum())
+        order, m, own = _rows(table)
         rep = table[key].to_numpy()[order]
-        size = table["n"].to_numpy()[order].astype(np.int64)
-        raw = table["tokens"].to_pylist()
-        sets = [np.frombuffer(raw[i], np.uint64) for i in order]
-        left, right, sim = [], [], []
-        if m:
-            union, column = np.unique(np.concatenate(sets[:m]), return_inverse=True)
-            by = np.argsort(column, kind="stable")
-            owner = np.repeat(np.arange(m), size[:m])[by]
-            ptr = np.concatenate([[0], np.cumsum(np.bincount(column, minlength=len(union)))])
-            edge = np.concatenate([[0], np.cumsum(size[:m])])
-            least = size[:m].min()
-            for q in range(len(sets)):
-                if q < m:
-                    cols = column[edge[q] : edge[q + 1]]
-                else:
-                    at = np.searchsorted(union, sets[q])
-                    at[at == len(union)] = 0
-                    cols = at[union[at] == sets[q]]
-                    if len(cols) < share * (size[q] + least):
-                        continue
-                lens = ptr[cols + 1] - ptr[cols]
-                flat = np.repeat(ptr[cols] - (np.cumsum(lens) - lens), lens) + np.arange(lens.sum())
-                common = np.bincount(owner[flat], minlength=m)
-                if q < m:
-                    common[: q + 1] = 0
-                j = common / (size[q] + size[:m] - common)
-                hit = np.flatnonzero((j >= threshold) & (rep[:m] != rep[q]))
-                left.append(np.full(len(hit), rep[q]))
-                right.append(rep[hit])
-                sim.append(j[hit])
-        a = np.concatenate(left) if left else np.empty(0, np.int64)
-        b = np.concatenate(right) if left else np.empty(0, np.int64)
-        s = np.concatenate(sim) if left else np.empty(0)
+        left, right, sim = [np.empty(0, np.int64)], [np.empty(0, np.int64)], [np.empty(0)]
+        forest = _Forest(len(rep))
+        for q, to, j in _opened(_token_arrays(table, order), m, threshold, own):
+            if spanning:
+                forest.link(q, to)
+            else:
+                other = rep[to] != rep[q]
+                left.append(np.full(int(other.sum()), rep[q]))
+                right.append(rep[to[other]])
+                sim.append(j[other])
+        a, b, s = np.concatenate(left), np.concatenate(right), np.concatenate(sim)
         lo, hi = np.minimum(a, b), np.maximum(a, b)
-        if spanning and len(lo):
-            root: dict[int, int] = {}
-
-            def find(x: int) -> int:
-                while root.setdefault(x, x) != x:
-                    root[x] = root[root[x]]
-                    x = root[x]
-                return x
-
-            for x, y in zip(lo.tolist(), hi.tolist()):
-                x, y = find(x), find(y)
-                root[max(x, y)] = min(x, y)
-            lo, hi = np.array([find(x) for x in root], np.int64), np.array(list(root), np.int64)
-            lo, hi = lo[lo != hi], hi[lo != hi]
+        if spanning:
+            lo, hi = forest.edges(rep)
             s = np.ones(len(lo))
         return pa.table({"doc_id_a": pa.array(lo, pa.int64()), "doc_id_b": pa.array(hi, pa.int64()), "jaccard": pa.array(np.round(s, 6), pa.float64())})
 
@@ -152,12 +191,22 @@ def join(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH, span
     """The pairs, and (doc_id, node) of all rows with words. With spanning, only a spanning forest of each opened group."""
     pairs, sig = _pairs(docs, threshold, width, spanning)
     ids = sig.select("doc_id", "node").distinct()
-    copies = ids.join(sig.groupBy("node").agg(F.min("doc_id").alias("rep"), F.max("doc_id").alias("most")).where("most > rep"), "node").where("doc_id <> rep").select(F.col("rep").alias("doc_id_a"), F.col("doc_id").alias("doc_id_b"), F.lit(1.0).alias("jaccard"))
-    return pairs.unionByName(copies), ids
+    return pairs.unionByName(_copies(sig, ids).withColumn("jaccard", F.lit(1.0))), ids
+
+
+def _copies(sig: DataFrame, ids: DataFrame) -> DataFrame:
+    """One pair of each further text of an equal set with its representative."""
+    return ids.join(sig.groupBy("node").agg(F.min("doc_id").alias("rep"), F.max("doc_id").alias("most")).where("most > rep"), "node").where("doc_id <> rep").select(F.col("rep").alias("doc_id_a"), F.col("doc_id").alias("doc_id_b"))
 
 
 def _pairs(docs: DataFrame, threshold: float, width: int, spanning: bool = False, by: str = "rep") -> tuple[DataFrame, DataFrame]:
     """The pairs of different sets, named by their representatives or, with by='node', by their nodes; and the signatures."""
+    opened, sig = _blocks(docs, width)
+    return opened.applyInArrow(_matrix_join(threshold, spanning, by), "doc_id_a long, doc_id_b long, jaccard double"), sig
+
+
+def _blocks(docs: DataFrame, width: int) -> tuple[GroupedData, DataFrame]:
+    """Nodes with their sets in the blocks in which they meet, grouped by block; and the signatures."""
     sig = cut(signatures(docs, width))
     nodes = sig.groupBy("node").agg(F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.first("keys").alias("keys"))
 
@@ -168,17 +217,30 @@ def _pairs(docs: DataFrame, threshold: float, width: int, spanning: bool = False
     meet = buckets.select(F.xxhash64("nodes").alias("b"), F.explode("nodes").alias("node")).join(group, "node").groupBy("b").agg(F.collect_set("g").alias("gs"), F.collect_list(F.struct("node", "g")).alias("of")).where(F.size("gs") > 1)
     probes = meet.select("gs", F.explode("of").alias("x")).select(F.col("x.node").alias("node"), F.col("x.g").alias("own"), F.explode("gs").alias("g")).where("g < own").select("node", "g").distinct()
 
-    active = cut(nodes.select("node", "rep", "n").join(group, "node").join(probes.groupBy("node").agg(F.collect_list("g").alias("others")), "node", "left"))
-    blocks = active.groupBy("g").agg(F.ceil(F.sum(F.col("n").cast("long")) / BLOCK_TOKENS).cast("int").alias("blocks"))
-    seat = active.join(blocks, "g").select("node", "g", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("own"))
-    span = lambda low: F.explode(F.when(F.col("blocks") > low, F.sequence(low, F.col("blocks") - 1)))
-    places = (
-        seat.select("node", "g", F.col("own").alias("block"), F.lit(True).alias("member"))
-        .unionByName(seat.where("blocks > own + 1").select("node", "g", span(F.col("own") + 1).alias("block"), F.lit(False).alias("member")))
-        .unionByName(active.where("others is not null").select("node", F.explode("others").alias("g")).join(blocks, "g").select("node", "g", span(F.lit(0)).alias("block"), F.lit(False).alias("member")))
-    )
+    active = cut(nodes.select("node", "rep", "n").join(group, "node"))
+    probes = cut(probes.join(active.select("node", "n"), "node"))
     sets = _sets_of(docs, active.select("node", "rep"), width)
-    return places.join(sets, "node").groupBy("g", "block").applyInArrow(_matrix_join(threshold, spanning, by), "doc_id_a long, doc_id_b long, jaccard double"), sig
+    return _places(active, probes).join(sets, "node").groupBy("g", "lo", "hi"), sig
+
+
+def _places(active: DataFrame, probes: DataFrame) -> DataFrame:
+    """(node, g, lo, hi, member): the members of a group and the nodes that probe it are dealt to blocks of about BLOCK_TOKENS.
+
+    Block (lo, lo) has the pairs of members lo and, with them, the first block of probes; a block lo < hi has members lo
+    with members hi or, from the number of member blocks on, with a block of probes. Members of lo have the flag.
+    """
+    count = lambda df, name: df.groupBy("g").agg(F.ceil(F.sum(F.col("n").cast("long")) / BLOCK_TOKENS).cast("int").alias(name))
+    sizes = count(active, "blocks").join(count(probes, "foreign"), "g", "left").fillna(0, ["foreign"])
+    deal = lambda df, over: df.join(sizes, "g").select("node", "g", "blocks", "foreign", F.pmod(F.xxhash64("node"), F.col(over)).cast("int").alias("own"))
+    seat, probe = deal(active, "blocks"), deal(probes, "foreign")
+    span = lambda low, high: F.explode(F.when(high > low, F.sequence(low, high - 1)))
+    own, blocks, zero = F.col("own"), F.col("blocks"), F.lit(0)
+    first = seat.select("node", "g", own.alias("lo"), own.alias("hi"), F.lit(True).alias("member"))
+    later = seat.select("node", "g", own.alias("lo"), span(own + 1, blocks).alias("hi"), F.lit(True).alias("member"))
+    before = seat.select("node", "g", span(zero, own).alias("lo"), own.alias("hi"), F.lit(False).alias("member"))
+    opened = seat.select("node", "g", own.alias("lo"), span(blocks + 1, blocks + F.col("foreign")).alias("hi"), F.lit(True).alias("member"))
+    probing = probe.select("node", "g", "blocks", "own", span(zero, blocks).alias("lo")).select("node", "g", "lo", F.when(own == 0, F.col("lo")).otherwise(blocks + own).alias("hi"), F.lit(False).alias("member"))
+    return first.unionByName(later).unionByName(before).unionByName(opened).unionByName(probing)
 
 
 def every_pair(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH) -> DataFrame:

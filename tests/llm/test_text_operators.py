@@ -415,18 +415,52 @@ def test_jaccard_join_matches_all_pairs(spark, monkeypatch):
         assert all(abs(want[k] - v) < 1e-5 for k, v in got.items())
 
 
-def test_jaccard_query_lists_the_pairs_of_all_rows(spark, tmp_path, monkeypatch):
-    """Copies and near copies of them: op6 itself gives every pair, also where the copies fill several blocks."""
+def test_jaccard_lists_the_pairs_of_all_rows(spark, monkeypatch):
+    """Copies and near copies of them: every_pair gives every pair, also where the copies fill several blocks."""
     rng = random.Random(21)
     text = prose(rng, 100)
     near = text.replace(" ", " changed ", 1)
     rows = [(k, text) for k in range(9)] + [(20 + k, near) for k in range(3)] + [(40, prose(rng, 80)), (40, text), (None, text)]
-    docs(spark, rows).write.parquet(f"{tmp_path}/documents.parquet")
     monkeypatch.setattr(jaccard, "BLOCK_IDS", 4)
-    got = [(r.doc_id_a, r.doc_id_b) for r in jaccard.op6_ngram_jaccard_join(spark, str(tmp_path)).collect()]
+    got = [(r.doc_id_a, r.doc_id_b) for r in jaccard.every_pair(docs(spark, rows)).collect()]
     assert len(got) == len(set(got)) and set(got) == set(itertools.combinations([*range(9), 20, 21, 22, 40], 2))
 
 
+def test_jaccard_memory_follows_the_rows_not_the_pairs():
+    """A block of texts that are all alike: millions of links, of which a forest and numbers stay."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    n = 3000
+    sets = [np.append(np.arange(20, dtype=np.uint64), np.uint64(100 + i)) for i in range(n)]
+    t = pa.table({"member": [True] * n, "rep": range(n), "node": range(n), "texts": [1] * n, "n": pa.array([21] * n, pa.int32()), "tokens": [x.tobytes() for x in sets]})
+    for job in (jaccard._matrix_join(0.5, True),):
+        tracemalloc.start()
+        out = job(t).to_pandas()
+        most = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        assert most < 24 << 20
+        assert len(out) == n - 1
+
+
+def test_jaccard_tasks_hold_two_blocks(spark, monkeypatch):
+    """Whatever a group's members and probes are, a task holds two blocks or so, and each pair that has to meet does so once."""
+    monkeypatch.setattr(jaccard, "BLOCK_TOKENS", 400)
+    active = spark.createDataFrame([(k, k, 10, 7) for k in range(300)] + [(1000, 1000, 10, 8)], "node long, rep long, n int, g long")
+    probes = spark.createDataFrame([(5000 + k, 7, 10) for k in range(200)] + [(5000, 8, 10)], "node long, g long, n int")
+    tasks = {}
+    for r in jaccard._places(active, probes).collect():
+        tasks.setdefault((r.g, r.lo, r.hi), ([], []))[not r.member].append(r.node)
+    assert max(10 * len(x) for both in tasks.values() for x in both) <= 2 * 2 * 400
+    met = []
+    for (g, lo, hi), (left, right) in tasks.items():
+        met += [(g, *sorted(p)) for p in itertools.product(left, right)]
+        met += [(g, *p) for p in itertools.combinations(sorted(left), 2)] if lo == hi else []
+    assert len(met) == len(set(met))
+    assert set(met) == {(7, a, b) for a, b in itertools.combinations(range(300), 2)} | {(7, a, 5000 + b) for a in range(300) for b in range(200)} | {(8, 1000, 5000)}
+
+
 def test_jaccard_groups_keep_one(spark):
     rows = near_rows(13) + EDGE
     want = brute_pairs(rows, 0.5)
