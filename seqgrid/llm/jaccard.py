@@ -16,13 +16,16 @@ Every text is a query against all others; pairs with Jaccard similarity of at le
 At the threshold itself a pair shares no key with probability (1 - t^ROWS)^BANDS, 1.4 % at 0.5, and far less
 above it. Nothing is capped: the members of a group of more than BLOCK_TOKENS tokens, and the nodes that probe it, are
 cut in blocks of which any two that have to meet do so in a task of their own, so a task holds about two blocks
-whatever the size of the group; of the links keep_one needs it keeps a forest only. Only texts with a
+whatever the size of the group; of the links it finds it keeps a forest and a number for each node. Only texts with a
 candidate are read again; their ids are broadcast up to BROADCAST_IDS, else joined.
 
-Texts without words (null, empty) have no link; rows with null ids are left out, repeated rows count once, and further
-columns are ignored.
+Result of classes(), which op6 returns: (doc_id, class_id, links), a row for each id. Two ids are in one class if links
+lead from one to the other, and its name is its least id; links is the number of other texts with a Jaccard similarity
+of at least the threshold to the document's text, copies included. An id with several texts has the sum over them (two
+texts of its own that are alike are a link as well). Texts without words (null, empty) have no link; rows with null ids
+are left out, repeated rows count once, and further columns are ignored.
 
-every_pair(), which op6 returns, lists all pairs of ids, so its rows grow as the square of the groups of copies; join() has the short form:
+every_pair() lists all pairs of ids, so its rows grow as the square of the groups of copies; join() has the short form:
 pairs of different sets between their representatives, and one pair of each further text of an equal set with its
 representative. Neither pairs an id with itself.
 """
@@ -187,6 +190,26 @@ def _matrix_join(threshold: float, spanning: bool, key: str = "rep"):
     return open_group
 
 
+def _matrix_links(threshold: float):
+    """Of an opened group a spanning forest of representatives (a, b), and for each node a the number of texts in the nodes linked to it."""
+
+    def open_group(table: pa.Table) -> pa.Table:
+        order, m, own = _rows(table)
+        rep, node, texts = (table[c].to_numpy()[order] for c in ("rep", "node", "texts"))
+        links = np.zeros(len(node), np.int64)
+        forest = _Forest(len(node))
+        for q, to, _ in _opened(_token_arrays(table, order), m, threshold, own):
+            forest.link(q, to)
+            links[q] += texts[to].sum()
+            links[to] += texts[q]
+        lo, hi = forest.edges(rep)
+        some = np.flatnonzero(links)
+        a, b, n = np.concatenate([lo, node[some]]), np.concatenate([hi, np.zeros(len(some), np.int64)]), np.concatenate([np.zeros(len(lo), np.int64), links[some]])
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "links": pa.array(n, pa.int64())})
+
+    return open_group
+
+
 def join(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH, spanning: bool = False) -> tuple[DataFrame, DataFrame]:
     """The pairs, and (doc_id, node) of all rows with words. With spanning, only a spanning forest of each opened group."""
     pairs, sig = _pairs(docs, threshold, width, spanning)
@@ -205,8 +228,8 @@ def _pairs(docs: DataFrame, threshold: float, width: int, spanning: bool = False
     return opened.applyInArrow(_matrix_join(threshold, spanning, by), "doc_id_a long, doc_id_b long, jaccard double"), sig
 
 
-def _blocks(docs: DataFrame, width: int) -> tuple[GroupedData, DataFrame]:
-    """Nodes with their sets in the blocks in which they meet, grouped by block; and the signatures."""
+def _blocks(docs: DataFrame, width: int, counted: bool = False) -> tuple[GroupedData, DataFrame]:
+    """Nodes with their sets, and if counted their numbers of texts, in the blocks in which they meet, grouped by block; and the signatures."""
     sig = cut(signatures(docs, width))
     nodes = sig.groupBy("node").agg(F.min("doc_id").alias("rep"), F.min("n").alias("n"), F.first("keys").alias("keys"))
 
@@ -220,6 +243,8 @@ def _blocks(docs: DataFrame, width: int) -> tuple[GroupedData, DataFrame]:
     active = cut(nodes.select("node", "rep", "n").join(group, "node"))
     probes = cut(probes.join(active.select("node", "n"), "node"))
     sets = _sets_of(docs, active.select("node", "rep"), width)
+    if counted:
+        sets = sets.join(sig.select("doc_id", "node").distinct().groupBy("node").agg(F.count("*").alias("texts")), "node")
     return _places(active, probes).join(sets, "node").groupBy("g", "lo", "hi"), sig
 
 
@@ -243,6 +268,20 @@ def _places(active: DataFrame, probes: DataFrame) -> DataFrame:
     return first.unionByName(later).unionByName(before).unionByName(opened).unionByName(probing)
 
 
+def classes(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH) -> DataFrame:
+    """(doc_id, class_id, links) of every id. No pair of texts is written, only forests and sums of the opened groups."""
+    opened, sig = _blocks(docs, width, counted=True)
+    found = cut(opened.applyInArrow(_matrix_links(threshold), "a long, b long, links long"))
+    ids = sig.select("doc_id", "node").distinct()
+    edges = found.where("links = 0").select(F.col("a").alias("doc_id_a"), F.col("b").alias("doc_id_b")).unionByName(_copies(sig, ids))
+    near = found.where("links > 0").select(F.col("a").alias("node"), "links")
+    # a text's links: the further texts of its node, and those of the nodes linked to it
+    by_node = ids.groupBy("node").agg((F.count("*") - 1).alias("links")).unionByName(near).groupBy("node").agg(F.sum("links").alias("links")).where("links > 0")
+    links = ids.join(by_node, "node").groupBy("doc_id").agg(F.sum("links").alias("links"))
+    every = docs.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct()
+    return every.join(components(edges), "doc_id", "left").join(links, "doc_id", "left").select("doc_id", F.coalesce("root", "doc_id").alias("class_id"), F.coalesce("links", F.lit(0)).alias("links"))
+
+
 def every_pair(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH) -> DataFrame:
     """All pairs of texts. The texts of a node are listed once; BLOCK_IDS of one side with all of the other are a row that expands where it lands."""
     pairs, sig = _pairs(docs, threshold, width, by="node")
@@ -322,4 +361,4 @@ def keep_one(docs: DataFrame, threshold: float = THRESHOLD, width: int = WIDTH)
 
 
 def op6_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return every_pair(load(spark, sf_dir, "documents"))
+    return classes(load(spark, sf_dir, "documents"))

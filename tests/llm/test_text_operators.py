@@ -426,6 +426,38 @@ def test_jaccard_lists_the_pairs_of_all_rows(spark, monkeypatch):
     assert len(got) == len(set(got)) and set(got) == set(itertools.combinations([*range(9), 20, 21, 22, 40], 2))
 
 
+def test_jaccard_query_has_a_row_for_each_document(spark, tmp_path, monkeypatch):
+    """Class and number of links of every document against all pairs, also where groups are cut in many blocks."""
+    rng = random.Random(24)
+    text = prose(rng, 100).split(" ")
+    chain = [(4000 + k, " ".join(text[k : k + 60])) for k in range(0, 40, 3)]  # a class whose ends are not alike
+    rows = near_rows() + chain + [(2100 + k, chain[3][1]) for k in range(5)]
+    want = brute_pairs(rows, 0.5)
+    root, links = {i: i for i, _ in rows}, dict.fromkeys((i for i, _ in rows), 0)
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in want:
+        links[a], links[b] = links[a] + 1, links[b] + 1
+        a, b = find(a), find(b)
+        root[max(a, b)] = min(a, b)
+    assert find(chain[0][0]) == find(chain[-1][0]) and (chain[0][0], chain[-1][0]) not in want
+    odd = [rows[0], (None, rows[0][1]), (1, None), (2, ""), (9000, "alone among the others")]
+    clashing(docs(spark, rows + odd)).write.parquet(f"{tmp_path}/documents.parquet")
+    for block in (jaccard.BLOCK_TOKENS, 500):
+        monkeypatch.setattr(jaccard, "BLOCK_TOKENS", block)
+        got = jaccard.op6_ngram_jaccard_join(spark, str(tmp_path)).collect()
+        assert sorted(r.doc_id for r in got) == sorted([*root, 1, 2, 9000])
+        of = {r.doc_id: r for r in got}
+        assert all((of[i].class_id, of[i].links) == (i, 0) for i in (1, 2, 9000))
+        assert sum(of[i].class_id != find(i) for i in root) <= 2
+        assert all(of[i].links <= links[i] for i in root) and sum(of[i].links for i in root) >= 0.97 * sum(links.values())
+    assert jaccard.classes(docs(spark, [])).count() == 0
+
+
 def test_jaccard_memory_follows_the_rows_not_the_pairs():
     """A block of texts that are all alike: millions of links, of which a forest and numbers stay."""
     import tracemalloc
@@ -435,13 +467,13 @@ def test_jaccard_memory_follows_the_rows_not_the_pairs():
     n = 3000
     sets = [np.append(np.arange(20, dtype=np.uint64), np.uint64(100 + i)) for i in range(n)]
     t = pa.table({"member": [True] * n, "rep": range(n), "node": range(n), "texts": [1] * n, "n": pa.array([21] * n, pa.int32()), "tokens": [x.tobytes() for x in sets]})
-    for job in (jaccard._matrix_join(0.5, True),):
+    for job in (jaccard._matrix_join(0.5, True), jaccard._matrix_links(0.5)):
         tracemalloc.start()
         out = job(t).to_pandas()
         most = tracemalloc.get_traced_memory()[1]
         tracemalloc.stop()
         assert most < 24 << 20
-        assert len(out) == n - 1
+        assert len(out) == n - 1 if "jaccard" in out else (out.links > 0).sum() == n and (out.links[out.links > 0] == n - 1).all() and (out.links == 0).sum() == n - 1
 
 
 def test_jaccard_tasks_hold_two_blocks(spark, monkeypatch):
