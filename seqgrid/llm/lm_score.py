@@ -8,7 +8,12 @@ c(z|r) phrases and c(z) phrases of z's own incremental (LZ78) parsing the scores
 
 a length-normalised estimate of the relative entropy of the document against the reference; lower is more alike.
 
-The reference is the other documents of the corpus, all of them, found in two ways that one parse puts together:
+The reference is the other documents of the corpus, all of them. score_whole(), which op4 returns, misses no match: texts
+are dealt to parts of half of SHARD_BYTES, every part is parsed against the automaton of every part, and of the match
+starts of a word the least counts. Within a part any two texts are parted by a bit of their numbers. A task holds two
+parts, but the time, and the disk of the shuffle that copies texts to pairs of parts, grow with the square of the corpus.
+
+score() takes time in proportion to the corpus and misses matches; it finds them in two ways that one parse puts together:
 
 1. *Suffix automata.* The documents of a language are dealt by a hash of the id into shards of about SHARD_BYTES, and
    each shard into two halves. The automaton of one half's text walks over the documents of the other half and tells
@@ -19,12 +24,13 @@ The reference is the other documents of the corpus, all of them, found in two wa
    that stand in more than one; each of their places is told two others (the least and the greatest by document), and
    where neighbouring chunks go on together in another document, they are one match, however long.
 
-A match of way 1 and one of way 2 are compared word by word, and the phrase is the longer. Matches shorter than about
-two chunks which only another shard holds are missed; README has the figure for what that does to the scores.
-One shuffle moves texts to their shards, two move chunk hashes, which are written once (about a fifth of a byte for each byte of text).
+A match of way 1 and one of way 2 are compared word by word, and the phrase is the longer. Missed are matches shorter than
+about two chunks which only another shard holds, and longer ones where neighbouring chunks are told of no document in
+common; README has the figure for what that does to the scores.
+One shuffle of score() moves texts to their shards, two move chunk hashes, which are written once (about a fifth of a byte for each byte of text).
 
 Words are lower-cased runs of word bytes (common.IS_WORD); letters of scripts without spaces (three and four byte
-UTF-8) are words each. Defined results: null and empty texts and texts without words, and texts which share no chunk
+UTF-8) are words each. Defined results: null and empty texts and texts without words, and (for score()) texts which share no chunk
 with another and whose half of a shard has no counterpart with words (one document in a language), have null scores; a null language is the language '';
 rows with equal id and text are one document, not each other's reference, and get equal scores; equal texts with
 different ids are each other's reference; null ids count as equal.
@@ -351,5 +357,72 @@ def score(docs: DataFrame, shard_bytes: int = SHARD_BYTES, everywhere: bool = Tr
     return placed.groupBy("lang", "shard").applyInArrow(_score_shard, RESULT)
 
 
+def _starts_against(table: pa.Table) -> pa.Table:
+    """(key, starts) of each text of part t against all the texts of part r but itself."""
+    ref = table["ref"].to_numpy(zero_copy_only=False)
+    same = table["t"][0] == table["r"][0]
+    keys, codes = table["key"].to_pylist(), []
+    seen: dict[int, int] = {}
+    for text in table["text"].to_pylist():
+        raw = np.frombuffer(text.encode(), np.uint8)
+        codes.append([seen.setdefault(x, len(seen)) for x in words(raw, np.array([0, len(raw)]))[0].tolist()])
+    best: dict[int, np.ndarray] = {}
+
+    def parse(read: list[int], against: list[int]) -> None:
+        joined: list[int] = []
+        for i in against:
+            joined += codes[i]
+            joined.append(len(seen) + i)  # a mark of its own ends each text: no match crosses it
+        automaton = SuffixAutomaton(joined)
+        for i in read:
+            starts = np.array(automaton.match_starts(codes[i]), np.int32)
+            best[i] = np.minimum(best[i], starts) if i in best else starts
+
+    some = [i for i, z in enumerate(codes) if z]
+    if not same:
+        sides = [([i for i in some if not ref[i]], [i for i in some if ref[i]])]
+    else:  # any two texts differ in a bit of their numbers
+        sides = [([i for k, i in enumerate(some) if k >> b & 1 == side], [i for k, i in enumerate(some) if k >> b & 1 != side]) for b in range(max(len(some) - 1, 0).bit_length()) for side in (0, 1)]
+    gc.disable()
+    try:
+        for read, against in sides:
+            if read and against:
+                parse(read, against)
+    finally:
+        gc.enable()
+    return pa.table({"key": pa.array([keys[i] for i in best], pa.int64()), "text": pa.nulls(len(best), pa.string()), "starts": pa.array([x.tobytes() for x in best.values()], pa.binary())})
+
+
+def _score_text(table: pa.Table) -> pa.Table:
+    """The scores of one text from its match starts against each part."""
+    text = next(x for x in table["text"].to_pylist() if x is not None)
+    raw = np.frombuffer(text.encode(), np.uint8)
+    z = np.unique(words(raw, np.array([0, len(raw)]))[0], return_inverse=True)[1].tolist()
+    told = [np.frombuffer(x, np.int32) for x in table["starts"].to_pylist() if x is not None]
+    n, cross, own, entropy, divergence = len(z), None, None, None, None
+    if told:
+        cross, own = factor(np.minimum.reduce(told).tolist()), own_phrases(z, n)
+        bits = np.log2(n) if n > 1 else 1.0
+        entropy, divergence = round(float(cross * bits / n), 6), round(float((cross * bits - own * np.log2(max(own, 1))) / n), 6)
+    return pa.table({"key": table["key"][:1], "n_words": pa.array([n], pa.int32()), "phrases": pa.array([cross], pa.int32()), "own_phrases": pa.array([own], pa.int32()), "cross_entropy": pa.array([entropy], pa.float64()), "divergence": pa.array([divergence], pa.float64())})
+
+
+def score_whole(docs: DataFrame, part_bytes: int = SHARD_BYTES // 2) -> DataFrame:
+    """Scores of every row against all other documents of the corpus, with no match missed: every part of the texts is parsed against every part.
+
+    Its time and shuffle grow with the square of the corpus; README has figures. Null are the scores of a text without words, or where no other has words.
+    """
+    rows = keyed_docs(docs).withColumn("text", F.coalesce("text", F.lit(""))).withColumn("key", F.xxhash64("doc_id", "text"))
+    one = rows.select("key", "text").dropDuplicates(["key"])
+    parts = one.agg(F.greatest(F.lit(1), F.ceil(F.coalesce(F.sum(F.octet_length("text").cast("long")), F.lit(0)) / part_bytes)).cast("int").alias("parts"))
+    dealt = one.crossJoin(F.broadcast(parts)).withColumn("own", F.pmod(F.xxhash64("key"), F.col("parts")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    read = dealt.select("key", "text", F.col("own").alias("t"), F.col("other").alias("r"), F.lit(False).alias("ref"))
+    against = dealt.where("own <> other").select("key", "text", F.col("other").alias("t"), F.col("own").alias("r"), F.lit(True).alias("ref"))
+    starts = read.unionByName(against).groupBy("t", "r").applyInArrow(_starts_against, "key long, text string, starts binary")
+    told = one.withColumn("starts", F.lit(None).cast("binary")).unionByName(starts)
+    scores = told.groupBy("key").applyInArrow(_score_text, RESULT.replace("doc_id", "key"))
+    return rows.select("doc_id", "key").join(scores, "key").drop("key")
+
+
 def op4_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return score(load(spark, sf_dir, "documents"))
+    return score_whole(load(spark, sf_dir, "documents"))

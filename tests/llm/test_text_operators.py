@@ -339,6 +339,22 @@ def test_lm_scores_against_all_other_documents(spark):
     assert sum(got.values()) <= 1.6 * sum(brute[k] for k in got)
 
 
+def test_lm_scores_of_the_whole_corpus_miss_no_match(spark):
+    """The very numbers of a search in all other documents, in one part and in many; a short passage that two documents far apart share counts."""
+    rng = random.Random(41)
+    short = prose(rng, 9)  # less than a chunk
+    rows = corpus_for_scores() + [(200 + i, prose(rng, 50) + " " + short + " " + prose(rng, 50)) for i in range(4)]
+    brute = {k[0]: v for k, v in brute_scores(rows).items()}
+    for part_bytes in (1 << 22, 4000):
+        got = lm_score.score_whole(clashing(docs(spark, EDGE[:3] + rows)), part_bytes).collect()
+        assert len(got) == len(rows) + 3
+        assert {r.doc_id: r.phrases for r in got if r.doc_id > 3} == brute
+        assert all(r.phrases is None and r.n_words == 0 for r in got if r.doc_id <= 3)
+        one = next(r for r in got if r.doc_id == 26)
+        assert one.cross_entropy == pytest.approx(one.phrases * math.log2(one.n_words) / one.n_words, abs=1e-5)
+    assert lm_score.score_whole(docs(spark, [])).count() == 0 and lm_score.score_whole(docs(spark, [(1, "one document alone")])).first()["phrases"] is None
+
+
 def test_chunks_stand_where_the_words_say(spark):
     rng = random.Random(3)
     text = prose(rng, 400)
