@@ -8,10 +8,18 @@ c(z|r) phrases and c(z) phrases of z's own incremental (LZ78) parsing the scores
 
 a length-normalised estimate of the relative entropy of the document against the reference; lower is more alike.
 
-The reference is the other documents of the corpus, all of them. score_whole(), which op4 returns, misses no match: texts
-are dealt to parts of half of SHARD_BYTES, every part is parsed against the automaton of every part, and of the match
-starts of a word the least counts. Within a part any two texts are parted by a bit of their numbers. A task holds two
-parts, but the time, and the disk of the shuffle that copies texts to pairs of parts, grow with the square of the corpus.
+The reference is the other documents of the corpus, all of them. score_whole(), which op4 returns, misses no match, and its
+time and shuffle are about in proportion to the corpus. It finds for each word how long the longest match is that begins there:
+
+* Texts are dealt to packs of about PACK_BYTES. A pack sends the hashes of its different runs of 2 words to ranges of hashes, where
+  it is told which of them another pack has too; so each run is sent once a pack, however often it stands there, and no text is
+  copied. Then the same for 3, 4, 5 and GRAM words, only for runs whose shorter runs are shared.
+* Of a shared run of GRAM words the words before and behind are gathered too. A match of GRAM words or more can begin to reach
+  further only where the words before a run differ (or a text begins), and can end only where the words behind one do. So
+  only pairs of such starts and ends are asked for: the next RANKS ends behind each start.
+* Texts with a match beyond all these (near copies with many edits) are joined by it to components. A bin of components sorts all
+  places of its texts by what follows; beside a place stand the longest matches. In a bin too large for a task every two blocks of
+  texts meet; only there the time can grow with the square, of the texts that are near copies of one another.
 
 score() takes time in proportion to the corpus and misses matches; it finds them in two ways that one parse puts together:
 
@@ -46,11 +54,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from seqgrid.llm.common import byte_slices, keyed_docs, load, mix, signed, stored, word_table
+from seqgrid.llm.common import IS_WORD, _power_tables, byte_slices, keyed_docs, load, lowered, mix, signed, stored, word_table
+from seqgrid.llm.jaccard import components
 
 SHARD_BYTES = 8 << 20
 CHUNK = 16
 WHOLE = -1  # the number of a chunk that is a whole text
+PACK_BYTES = 18 << 20
+GRAM = 6  # matches of so many words and more are sought between branchings
+RANKS = 16
 
 
 def words(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -357,71 +369,402 @@ def score(docs: DataFrame, shard_bytes: int = SHARD_BYTES, everywhere: bool = Tr
     return placed.groupBy("lang", "shard").applyInArrow(_score_shard, RESULT)
 
 
-def _starts_against(table: pa.Table) -> pa.Table:
-    """(key, starts) of each text of part t against all the texts of part r but itself."""
-    ref = table["ref"].to_numpy(zero_copy_only=False)
-    same = table["t"][0] == table["r"][0]
-    keys, codes = table["key"].to_pylist(), []
-    seen: dict[int, int] = {}
-    for text in table["text"].to_pylist():
-        raw = np.frombuffer(text.encode(), np.uint8)
-        codes.append([seen.setdefault(x, len(seen)) for x in words(raw, np.array([0, len(raw)]))[0].tolist()])
-    best: dict[int, np.ndarray] = {}
+def _press(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The words of each text, in lower case with one space between, as compressed bytes with their size."""
+    for batch in batches:
+        for part, buf, offs in byte_slices(batch):
+            low = np.where(IS_WORD[buf], lowered(buf), 32).astype(np.uint8)
+            keep = low != 32
+            keep[:-1] |= keep[1:]
+            at = np.concatenate([[0], np.cumsum(keep)])[offs].tolist()
+            low = low[keep].tobytes()
+            raw = [low[a:b] for a, b in zip(at, at[1:])]
+            yield pa.RecordBatch.from_arrays([*part.columns[:3], pa.array([len(x) for x in raw], pa.int32()), pa.array([pa.compress(x, "zstd", asbytes=True) if x else b"" for x in raw], pa.binary())], ["pack", "doc_id", "key", "size", "words"])
+
+
+class _Pack:
+    """The distinct texts of a pack, one behind the other as word hashes; their order is the same in every step."""
+
+    def __init__(self, docs: pa.Table):
+        self.rows: dict[int, list[int | None]] = {}
+        packed = {}
+        for doc_id, text, size, data in zip(*(docs[c].to_pylist() for c in ("doc_id", "key", "size", "words"))):
+            self.rows.setdefault(text, []).append(doc_id)
+            packed[text] = data, size
+        self.texts = sorted(self.rows)
+        raw = [pa.decompress(packed[t][0], packed[t][1], "zstd", asbytes=True) if packed[t][1] else b"" for t in self.texts]
+        offs = np.concatenate([[0], np.cumsum([len(x) for x in raw], dtype=np.int64)])
+        batch = pa.RecordBatch.from_arrays([pa.LargeStringArray.from_buffers(len(raw), pa.py_buffer(offs), pa.py_buffer(b"".join(raw)))], ["text"])
+        hashes, owners, row = [np.empty(0, np.uint64)], [np.empty(0, np.int64)], 0
+        for part, buf, at in byte_slices(batch):
+            h, doc = words(buf, at)
+            hashes.append(h)
+            owners.append(doc + row)
+            row += part.num_rows
+        self.h, self.owner = np.concatenate(hashes), np.concatenate(owners).astype(np.int32)
+        self.n = len(self.h)
+        self.edge = np.searchsorted(self.owner, np.arange(len(self.texts) + 1))
+        size = np.diff(self.edge)
+        self.place = np.arange(self.n, dtype=np.int32) - np.repeat(self.edge[:-1], size).astype(np.int32)
+        self.left = np.repeat(size, size).astype(np.int32) - self.place
+        # documents of each text: equal ids are one
+        self.documents = np.array([len(set(self.rows[t])) for t in self.texts], np.int64)
+        power, self.inverse = _power_tables(int(size.max(initial=0)) + 1)
+        self.run = np.zeros(self.n + 1, np.uint64)
+        with np.errstate(over="ignore"):
+            np.cumsum(mix(self.h) * power[self.place], out=self.run[1:])
+
+    def grams(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """A hash of the words from each start to each end."""
+        with np.errstate(over="ignore"):
+            g = self.run[end]
+            g -= self.run[start]
+            g *= self.inverse[self.place[start]]
+            g += (end - start).astype(np.uint64)
+            return mix(g)
+
+    def having(self, planes: list[np.ndarray], size: int) -> np.ndarray:
+        """Starts of the runs of ``size`` words that may stand in another text: all their shorter runs do, as far as asked."""
+        if not planes:
+            return np.flatnonzero(self.left >= size).astype(np.int32)
+        known = len(planes) + 1
+        ok = planes[-1].copy()
+        for k in range(1, size - known + 1):
+            ok[:-k] &= planes[-1][k:]
+            ok[-k:] = False
+        return np.flatnonzero(ok).astype(np.int32)
+
+    def branches(self, planes: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(start, end, rank, of which start) of the asks of step 5: from every left branching to the next RANKS ends behind the first."""
+        shared, left, right = planes[4:7]
+        start, stop = np.flatnonzero(left), np.flatnonzero(right)
+        begin = shared.copy()
+        begin[1:] &= ~(shared[:-1] & (self.owner[1:] == self.owner[:-1]))
+        stretch = np.cumsum(begin)
+        first, of = np.searchsorted(stop, start), np.arange(len(start))
+        out = []
+        for r in range(1, RANKS + 1):
+            of = of[first[of] + r < len(stop)]
+            of = of[stretch[stop[first[of] + r]] == stretch[start[of]]]
+            out.append((start[of], stop[first[of] + r] + GRAM, np.full(len(of), r), of))
+        return tuple(np.concatenate(x) for x in zip(*out))
+
+    def asks(self, step: int, planes: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        """(hash, start) of the runs of which a step asks whether another text has them."""
+        if step == 5:
+            start, end = self.branches(planes)[:2]
+        else:
+            start = self.having(planes[: step - 1], step + 1)
+            end = start + step + 1
+        return self.grams(start, end), start
+
+
+def _distinct(g: np.ndarray) -> np.ndarray:
+    """The different hashes, rising; np.unique takes many times as long."""
+    s = np.sort(g)
+    return s[np.append(np.ones(min(1, len(s)), bool), s[1:] != s[:-1])]
+
+
+def _groups(g: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Order of the hashes, where in it each distinct one begins, how often it stands there, and the distinct ones."""
+    order = np.argsort(g)
+    s = g[order]
+    first = np.flatnonzero(np.append(np.ones(min(1, len(s)), bool), s[1:] != s[:-1]))
+    return order, first, np.diff(first, append=len(s)), s[first]
+
+
+def _differ(x: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Whether the values of each group differ."""
+    return np.minimum.reduceat(x, first) != np.maximum.reduceat(x, first) if len(first) else np.empty(0, bool)
+
+
+def _spread(value: np.ndarray, order: np.ndarray, count: np.ndarray) -> np.ndarray:
+    out = np.empty(len(order), value.dtype)
+    out[order] = np.repeat(value, count)
+    return out
+
+
+def _squeeze(u: np.ndarray) -> bytes:
+    """Rising hashes as their differences, the like bytes of all compressed together, as the upper ones are small; before them their number and the sizes."""
+    packed = [pa.compress(x.tobytes(), "zstd", asbytes=True) for x in np.diff(u, prepend=np.uint64(0)).view(np.uint8).reshape(-1, 8).T]
+    return np.array([len(u), *map(len, packed)], np.int32).tobytes() + b"".join(packed)
+
+
+def _widen(data: bytes) -> tuple[np.ndarray, bytes]:
+    """The hashes, and what follows them."""
+    n, *size = np.frombuffer(data, np.int32, 9).tolist()
+    at = np.cumsum([36, *size]).tolist()
+    byte = np.stack([np.frombuffer(pa.decompress(data[a:b], n, "zstd", asbytes=True), np.uint8) for a, b in zip(at, at[1:])], axis=1)
+    return np.cumsum(byte.view(np.uint64).ravel(), dtype=np.uint64), data[at[-1] :]
 
-    def parse(read: list[int], against: list[int]) -> None:
-        joined: list[int] = []
-        for i in against:
-            joined += codes[i]
-            joined.append(len(seen) + i)  # a mark of its own ends each text: no match crosses it
-        automaton = SuffixAutomaton(joined)
-        for i in read:
-            starts = np.array(automaton.match_starts(codes[i]), np.int32)
-            best[i] = np.minimum(best[i], starts) if i in best else starts
-
-    some = [i for i, z in enumerate(codes) if z]
-    if not same:
-        sides = [([i for i in some if not ref[i]], [i for i in some if ref[i]])]
-    else:  # any two texts differ in a bit of their numbers
-        sides = [([i for k, i in enumerate(some) if k >> b & 1 == side], [i for k, i in enumerate(some) if k >> b & 1 != side]) for b in range(max(len(some) - 1, 0).bit_length()) for side in (0, 1)]
-    gc.disable()
-    try:
-        for read, against in sides:
-            if read and against:
-                parse(read, against)
-    finally:
-        gc.enable()
-    return pa.table({"key": pa.array([keys[i] for i in best], pa.int64()), "text": pa.nulls(len(best), pa.string()), "starts": pa.array([x.tobytes() for x in best.values()], pa.binary())})
 
+def _bounds(u: np.ndarray, parts: int) -> np.ndarray:
+    """Where the rising hashes of each range begin."""
+    return np.searchsorted((u >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32), np.arange(parts + 1, dtype=np.uint64))
 
-def _score_text(table: pa.Table) -> pa.Table:
-    """The scores of one text from its match starts against each part."""
-    text = next(x for x in table["text"].to_pylist() if x is not None)
-    raw = np.frombuffer(text.encode(), np.uint8)
-    z = np.unique(words(raw, np.array([0, len(raw)]))[0], return_inverse=True)[1].tolist()
-    told = [np.frombuffer(x, np.int32) for x in table["starts"].to_pylist() if x is not None]
-    n, cross, own, entropy, divergence = len(z), None, None, None, None
-    if told:
-        cross, own = factor(np.minimum.reduce(told).tolist()), own_phrases(z, n)
-        bits = np.log2(n) if n > 1 else 1.0
-        entropy, divergence = round(float(cross * bits / n), 6), round(float((cross * bits - own * np.log2(max(own, 1))) / n), 6)
-    return pa.table({"key": table["key"][:1], "n_words": pa.array([n], pa.int32()), "phrases": pa.array([cross], pa.int32()), "own_phrases": pa.array([own], pa.int32()), "cross_entropy": pa.array([entropy], pa.float64()), "divergence": pa.array([divergence], pa.float64())})
 
+PLANES = {3: 1, 4: 2, 5: 3, 6: 7}  # of a bit for each word, that a step is told of: has another text the 2, 3, 4, 5, GRAM words here; do the words before, behind differ
+MESSAGE = "dest long, kind int, source long, data binary"
+STATE, ASKED, ENDS = 0, 1, 2
+SIDE = 5  # bytes by which the words before or behind are told apart
+ANY = np.uint64(1)  # asked by every pack that has words
 
-def score_whole(docs: DataFrame, part_bytes: int = SHARD_BYTES // 2) -> DataFrame:
-    """Scores of every row against all other documents of the corpus, with no match missed: every part of the texts is parsed against every part.
 
-    Its time and shuffle grow with the square of the corpus; README has figures. Null are the scores of a text without words, or where no other has words.
+def _messages(rows: list[tuple[int, int, int, bytes]]) -> pa.Table:
+    dest, kind, source, data = zip(*rows) if rows else ((), (), (), ())
+    return pa.table([pa.array(dest, pa.int64()), pa.array(kind, pa.int32()), pa.array(source, pa.int64()), pa.array(data, pa.binary())], ["dest", "kind", "source", "data"])
+
+
+def _neighbours(pack: _Pack, planes: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, tuple, np.ndarray, list[np.ndarray]]:
+    """The runs of GRAM words: their starts, distinct hashes, groups, whether two texts of the pack have them, and the one word before and behind (0 where there are several or none)."""
+    start = pack.having(planes[:3], GRAM)
+    g = pack.grams(start, start + GRAM)
+    order, first, count, u = _groups(g)
+    at = start[order]
+    sides = []
+    for word in (np.where(pack.owner[at - 1] == pack.owner[at], pack.h[at - 1], 0) * (at > 0).astype(np.uint64), np.where(pack.left[at] > GRAM, pack.h[np.minimum(at + GRAM, max(pack.n - 1, 0))], 0).astype(np.uint64)):
+        sides.append(np.where(_differ(word, first), np.uint64(0), word[first]))
+    return start, u, (order, first, count), _differ(pack.owner[at], first), sides
+
+
+def _step(step: int, parts: int):
+    """Step 1 to 6 of a pack: takes in the answers to what the step before asked, and asks further or gives the result."""
+
+    def run(key: tuple, docs: pa.Table, told: pa.Table | None = None) -> pa.Table:
+        pack, m = _Pack(docs), key[0].as_py()
+        planes: list[np.ndarray] = []
+        alone, answers = True, {ASKED: {}, ENDS: {}}
+        for kind, source, data in zip(*(told[c].to_pylist() for c in ("kind", "source", "data"))) if told is not None else ():
+            if kind == STATE:
+                n = -(-pack.n // 8)
+                raw = np.frombuffer(pa.decompress(data[1:], n * PLANES[step], "zstd", asbytes=True) if n else b"", np.uint8).reshape(PLANES[step], n)
+                alone, planes = bool(data[0]), [np.unpackbits(x, count=pack.n).astype(bool) for x in raw]
+            else:
+                answers[kind][source] = data
+
+        def heard(kind: int, u: np.ndarray, each: int = 1) -> np.ndarray:
+            n = np.diff(_bounds(u, parts))
+            out = [np.stack([np.unpackbits(x, count=c) for x in np.frombuffer(answers[kind][p], np.uint8).reshape(each, -1)]) for p, c in enumerate(n.tolist()) if c]
+            return np.concatenate(out, axis=1).astype(bool) if out else np.empty((each, 0), bool)
+
+        g = other = None
+        if step > 1:
+            g, start = pack.asks(step - 1, planes)
+            order, first, count, u = _groups(g)
+            both = _differ(pack.owner[start][order], first)
+            if step == 2 and pack.n:
+                at = np.searchsorted(u, ANY)
+                told_of = heard(ASKED, np.insert(u, at, ANY))[0]
+                alone = not told_of[at] and pack.documents[np.diff(pack.edge) > 0].sum() < 2
+                both |= np.delete(told_of, at)
+            else:
+                both |= heard(ASKED, u)[0]
+            other = _spread(both, order, count)
+            if step < 6:
+                planes.append(np.zeros(pack.n, bool))
+                planes[-1][start[other]] = True
+            if step == 5:
+                begin, u, (order, first, count), both, _ = _neighbours(pack, planes)
+                shared, left, right = heard(ENDS, u, 3)
+                shared |= both
+                for value in (shared, shared & left, shared & right):
+                    plane = np.zeros(pack.n, bool)
+                    plane[begin] = _spread(value, order, count)
+                    planes.append(plane)
+        if step == 6:
+            return _result(pack, m, planes, alone, g, other)
+        rows = []
+        if step > 1:
+            del g, start, order, first, count, u, both, other
+            state = b"".join(np.packbits(x).tobytes() for x in planes)
+            rows.append((-1 - m, STATE, m, bytes([int(alone)]) + (pa.compress(state, "zstd", asbytes=True) if state else b"")))
+        u = _distinct(pack.asks(step, planes)[0])
+        if step == 1 and pack.n:
+            u = np.insert(u, np.searchsorted(u, ANY), ANY)
+        edge = _bounds(u, parts).tolist()
+        rows += [(p, ASKED, m, _squeeze(u[a:b])) for p, (a, b) in enumerate(zip(edge, edge[1:])) if a < b]
+        if step == 4:
+            _, u, _, _, sides = _neighbours(pack, planes)
+            edge = _bounds(u, parts).tolist()
+            rows += [(p, ENDS, m, b"".join([_squeeze(u[a:b]), *[x[a:b].view(np.uint8).reshape(-1, 8)[:, :SIDE].tobytes() for x in sides]])) for p, (a, b) in enumerate(zip(edge, edge[1:])) if a < b]
+        return _messages(rows)
+
+    def lean(*given) -> pa.Table:
+        out = run(*given)
+        pa.default_memory_pool().release_unused()
+        return out
+
+    return (lambda key, docs: lean(key, docs)) if step == 1 else (lambda key, docs, told: lean(key, docs, told))
+
+
+def _answer(table: pa.Table) -> pa.Table:
+    """Tells each pack which of its hashes of a range another pack has too, and of runs of GRAM words, whether the words before or behind differ."""
+    rows = []
+    kinds, sources, blobs = (table[c].to_pylist() for c in ("kind", "source", "data"))
+    rows += [(s, STATE, s, x) for k, s, x in zip(kinds, sources, blobs) if k == STATE]
+    for kind in (ASKED, ENDS):
+        here = [(s, *_widen(x)) for k, s, x in zip(kinds, sources, blobs) if k == kind]
+        if not here:
+            continue
+        size = [len(u) for _, u, _ in here]
+        order, first, count, _ = _groups(np.concatenate([u for _, u, _ in here]))
+        tell = [_spread(count > 1, order, count)]
+        for side in range(2 if kind == ENDS else 0):
+            byte = np.concatenate([np.frombuffer(x, np.uint8, SIDE * n, SIDE * n * side).reshape(n, SIDE) for (_, _, x), n in zip(here, size)])
+            word = np.pad(byte, ((0, 0), (0, 8 - SIDE))).view(np.uint64).ravel()[order]
+            tell.append(_spread(_differ(word, first) | (word[first] == 0), order, count))
+        at = np.concatenate([[0], np.cumsum(size)]).tolist()
+        rows += [(s, kind, table["dest"][0].as_py(), b"".join(np.packbits(x[a:b]).tobytes() for x in tell)) for (s, _, _), a, b in zip(here, at, at[1:])]
+    return _messages(rows)
+
+
+FOUND = "doc_id long, n_words int, phrases int, own_phrases int, node long, hashes binary, reach binary, grams array<long>, links array<long>"
+
+
+def parse(reach: list[int]) -> int:
+    """Number of phrases, given how long a match begins at each word."""
+    i = count = 0
+    while i < len(reach):
+        i += reach[i] or 1
+        count += 1
+    return count
+
+
+def _result(pack: _Pack, m: int, planes: list[np.ndarray], alone: bool, g: np.ndarray, other: np.ndarray) -> pa.Table:
+    """A row for each document, and one with its words for each text with a match beyond RANKS ends."""
+    reach = np.zeros(pack.n, np.int64)
+    for size, plane in zip((2, 3, 4, 5), planes):
+        reach[plane] = size
+    shared, left, right = planes[4:7]
+    begin, stop = np.flatnonzero(left), np.flatnonzero(right)
+    _, end, rank, of = pack.branches(planes)
+    if len(begin):  # the first end behind a start is reached by all that have the start
+        best = stop[np.searchsorted(stop, begin)] + GRAM
+        np.maximum.at(best, of[other], end[other])
+        inside = np.flatnonzero(shared)
+        reach[inside] = best[np.searchsorted(begin, inside, side="right") - 1] - inside
+    beyond = np.flatnonzero(other & (rank == RANKS))
+    text = pack.owner[begin[of[beyond]]]
+    order, first, count, gram = _groups(g[beyond])
+    lead = np.minimum.reduceat(text[order], first) if len(first) else np.empty(0, np.int64)
+    gram = signed(gram)[np.argsort(lead, kind="stable")]
+    cuts = np.searchsorted(np.sort(lead), np.arange(len(pack.texts) + 1))
+    links: dict[int, list[int]] = {t: [] for t in np.unique(text).tolist()}
+    for x in np.unique(text * len(pack.texts) + _spread(lead, order, count)).tolist():
+        t, to = divmod(x, len(pack.texts))
+        if t != to:
+            links[t].append((m << 32) + to)
+    out = []
+    edge = pack.edge.tolist()
+    for t, text in enumerate(pack.texts):
+        a, b = edge[t], edge[t + 1]
+        phrases = own = None
+        node = (m << 32) + t
+        if b > a and not alone:
+            own = own_phrases(np.unique(pack.h[a:b], return_inverse=True)[1].tolist(), b - a)
+            phrases = 1 if pack.documents[t] > 1 else None if t in links else parse(reach[a:b].tolist())
+        out += [(doc_id, b - a, phrases, own, node, None, None, None, None) for doc_id in pack.rows[text]]
+        if t in links:
+            out.append((None, None, None, None, node, pack.h[a:b].tobytes(), reach[a:b].astype(np.int32).tobytes(), gram[cuts[t] : cuts[t + 1]].tolist(), links[t]))
+    names = [x.split()[0] for x in FOUND.split(", ")]
+    kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64())]
+    return pa.table([pa.array(x, k) for x, k in zip(zip(*out) if out else [()] * len(names), kinds)], names=names)
+
+
+def other_reach(z: np.ndarray, doc: np.ndarray) -> np.ndarray:
+    """How long the longest match with another text is that begins at each word. z has the words of all texts, doc rises.
+
+    Names of runs of 1, 2, 4, ... words in their order; the last sorts all that begins anywhere, and next to a place in that order stand those most like it.
     """
-    rows = keyed_docs(docs).withColumn("text", F.coalesce("text", F.lit(""))).withColumn("key", F.xxhash64("doc_id", "text"))
-    one = rows.select("key", "text").dropDuplicates(["key"])
-    parts = one.agg(F.greatest(F.lit(1), F.ceil(F.coalesce(F.sum(F.octet_length("text").cast("long")), F.lit(0)) / part_bytes)).cast("int").alias("parts"))
-    dealt = one.crossJoin(F.broadcast(parts)).withColumn("own", F.pmod(F.xxhash64("key"), F.col("parts")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    read = dealt.select("key", "text", F.col("own").alias("t"), F.col("other").alias("r"), F.lit(False).alias("ref"))
-    against = dealt.where("own <> other").select("key", "text", F.col("other").alias("t"), F.col("own").alias("r"), F.lit(True).alias("ref"))
-    starts = read.unionByName(against).groupBy("t", "r").applyInArrow(_starts_against, "key long, text string, starts binary")
-    told = one.withColumn("starts", F.lit(None).cast("binary")).unionByName(starts)
-    scores = told.groupBy("key").applyInArrow(_score_text, RESULT.replace("doc_id", "key"))
-    return rows.select("doc_id", "key").join(scores, "key").drop("key")
+    n = len(z)
+    if not n:
+        return np.zeros(0, np.int32)
+    last = np.append(doc[1:] != doc[:-1], True)
+    at = np.arange(n) + np.cumsum(last) - last  # each text is followed by a mark of its own
+    total = n + int(last.sum())
+    name = np.empty(total, np.int64)
+    known, name[at] = np.unique(z, return_inverse=True)
+    name[at[last] + 1] = len(known) + np.arange(last.sum())
+    levels, size = [name.astype(np.int32)], 1
+    while True:
+        pair = levels[-1] * np.int64(total + 2)
+        pair[:-size] += levels[-1][size:] + 1
+        order, first, count, _ = _groups(pair.view(np.uint64))
+        levels.append(_spread(np.arange(len(first)), order, count).astype(np.int32))
+        size *= 2
+        if len(first) == total or size >= total:
+            break
+    del name, pair, first, count
+    text = np.empty(total, np.int32)
+    text[at] = doc
+    text[at[last] + 1] = doc[last]
+    best = np.zeros(total, np.int32)
+    order = order.astype(np.int32)
+    for line in (order, order[::-1]):
+        new = np.append(True, np.diff(text[line]) != 0)
+        before = np.maximum.accumulate(np.where(new, np.arange(total, dtype=np.int32), 0)) - 1
+        mine, its = line[before >= 0], line[before[before >= 0]]
+        have = np.zeros(len(mine), np.int32)
+        for k in range(len(levels) - 1, -1, -1):
+            # marks are all different, so a match never goes beyond the end
+            x, y = np.minimum(mine + have, total - 1), np.minimum(its + have, total - 1)
+            have += (levels[k][x] == levels[k][y]) * np.int32(1 << k)
+        best[mine] = np.maximum(best[mine], have)
+    return best[at]
+
+
+def _meet(table: pa.Table) -> pa.Table:
+    """The reach of the texts of a bin among themselves, no less than it was known to be."""
+    nodes = table["node"].to_pylist()
+    hashes = [np.frombuffer(x, np.uint64) for x in table["hashes"].to_pylist()]
+    doc = np.repeat(np.arange(len(nodes)), [len(x) for x in hashes])
+    reach = other_reach(np.concatenate(hashes), doc)
+    at = np.concatenate([[0], np.cumsum([len(x) for x in hashes])]).tolist()
+    known = [np.frombuffer(x, np.int32) for x in table["reach"].to_pylist()]
+    return pa.table([table["node"], pa.array([np.maximum(x, reach[a:b]).astype(np.int32).tobytes() for x, a, b in zip(known, at, at[1:])], pa.binary())], ["node", "reach"])
+
+
+def _parse_all(table: pa.Table) -> pa.Table:
+    best: dict[int, np.ndarray] = {}
+    for node, raw in zip(table["node"].to_pylist(), table["reach"].to_pylist()):
+        x = np.frombuffer(raw, np.int32)
+        best[node] = np.maximum(best[node], x) if node in best else x
+    return pa.table([pa.array(best, pa.int64()), pa.array([parse(x.tolist()) for x in best.values()], pa.int32())], ["node", "far_phrases"])
+
+
+def score_whole(docs: DataFrame, part_bytes: int = PACK_BYTES) -> DataFrame:
+    """Scores of every row against all other documents of the corpus, with no match missed. Null are the scores of a text without words, or where no other has words."""
+    rows = keyed_docs(docs).withColumn("text", F.coalesce("text", F.lit("")))
+    parts = max(1, -(-(rows.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0) // part_bytes))
+    packs = rows.select(F.pmod(F.xxhash64("text"), F.lit(parts).cast("long")).alias("pack"), "doc_id", F.xxhash64("text").alias("key"), "text").mapInArrow(_press, "pack long, doc_id long, key long, size int, words binary").groupBy("pack")
+    asked = packs.applyInArrow(_step(1, parts), MESSAGE)
+    for step in range(2, 7):
+        answers = asked.groupBy("dest").applyInArrow(_answer, MESSAGE)
+        asked = packs.cogroup(answers.groupBy("dest")).applyInArrow(_step(step, parts), FOUND if step == 6 else MESSAGE)
+    found = stored(asked)
+    result, texts = found.where("hashes is null"), found.where("hashes is not null")
+    n_bytes = texts.agg(F.sum(F.length("hashes").cast("long"))).first()[0] or 0
+    if n_bytes:
+        result = result.join(_far_phrases(texts, n_bytes, part_bytes // 5), "node", "left").withColumn("phrases", F.coalesce("phrases", "far_phrases"))
+    bits = F.when(F.col("n_words") > 1, F.log2("n_words")).otherwise(1.0)
+    cross = F.col("phrases") * bits
+    own = F.col("own_phrases") * F.log2(F.greatest("own_phrases", F.lit(1)))
+    return result.select("doc_id", "n_words", "phrases", "own_phrases", F.bround(cross / F.col("n_words"), 6).alias("cross_entropy"), F.bround((cross - own) / F.col("n_words"), 6).alias("divergence"))
+
+
+def _far_phrases(texts: DataFrame, n_bytes: int, block_bytes: int) -> DataFrame:
+    """(node, far_phrases) of the texts with matches beyond RANKS ends: those that such matches join, directly or through others, meet in a bin, and
+    in a bin larger than two blocks every two blocks meet."""
+    grams = texts.select("node", F.explode("grams").alias("gram"))
+    least = grams.groupBy("gram").agg(F.min("node").alias("to"))
+    edges = grams.join(least, "gram").where("node <> to").select("node", "to").unionByName(texts.select("node", F.explode("links").alias("to")))
+    roots = components(edges.select(F.col("node").alias("doc_id_a"), F.col("to").alias("doc_id_b"))).withColumnRenamed("doc_id", "node")
+    bins = -(-n_bytes // block_bytes)
+    placed = texts.select("node", "hashes", "reach").join(roots, "node", "left").select("node", "hashes", "reach", F.pmod(F.xxhash64(F.coalesce("root", "node")), F.lit(bins).cast("long")).alias("bin"))
+    sizes = placed.groupBy("bin").agg(F.sum(F.length("hashes").cast("long")).alias("n")).select("bin", F.when(F.col("n") <= 2 * block_bytes, 1).otherwise(F.ceil(F.col("n") / block_bytes)).cast("int").alias("blocks"))
+    dealt = placed.join(sizes, "bin").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).where("blocks = 1 or own <> other")
+    met = dealt.select("bin", "node", "hashes", "reach", F.least("own", "other").alias("t"), F.greatest("own", "other").alias("r")).repartition(2 * bins, "bin", "t", "r").groupBy("bin", "t", "r").applyInArrow(_meet, "node long, reach binary")
+    return met.groupBy(F.pmod(F.xxhash64("node"), F.lit(bins).cast("long"))).applyInArrow(_parse_all, "node long, far_phrases int")
 
 
 def op4_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -355,6 +355,59 @@ def test_lm_scores_of_the_whole_corpus_miss_no_match(spark):
     assert lm_score.score_whole(docs(spark, [])).count() == 0 and lm_score.score_whole(docs(spark, [(1, "one document alone")])).first()["phrases"] is None
 
 
+def near_copies(rng: random.Random, texts: int, words: int, edits: int):
+    """Texts that differ from one another in many single words: a match between two has many ends of other matches inside."""
+    base = prose(rng, words).split()
+    out = []
+    for i in range(texts):
+        copy = list(base)
+        for k in rng.sample(range(words), edits):
+            copy[k] = rng.choice(base)
+        out.append((300 + i, " ".join(copy)))
+    return out
+
+
+def test_lm_scores_of_near_copies_miss_no_match(spark):
+    """Matches with more than RANKS ends of others inside, in one pack and in many, in one bin and in pairs of its blocks."""
+    rng = random.Random(43)
+    rows = corpus_for_scores() + near_copies(rng, 30, 250, 6) + [(400, near_copies(rng, 1, 200, 0)[0][1])]
+    rows += [(401, rows[50][1].upper()), (402, rows[60][1]), (402, rows[60][1])]
+    brute = {k[0]: v for k, v in brute_scores(rows).items()}
+    for part_bytes in (1 << 22, 8000, 1000):
+        got = lm_score.score_whole(docs(spark, rows), part_bytes).collect()
+        assert len(got) == len(rows) and {r.doc_id: r.phrases for r in got} == brute
+
+
+def test_other_reach_matches_substring_search():
+    rng = np.random.default_rng(5)
+    for _ in range(60):
+        base = rng.integers(1, rng.integers(3, 9), 60)
+        texts = [bytes(base[(s := rng.integers(0, 30)) : s + n].tolist()) if rng.random() < 0.6 else bytes(rng.integers(1, 6, n).tolist()) for n in rng.integers(1, 30, rng.integers(1, 7))]
+        got = lm_score.other_reach(np.frombuffer(b"".join(texts), np.uint8).astype(np.uint64), np.repeat(np.arange(len(texts)), [len(t) for t in texts])).tolist()
+        for k, t in enumerate(texts):
+            others = [x for j, x in enumerate(texts) if j != k]
+            assert [got.pop(0) for _ in t] == [max(n for n in range(len(t) - i + 1) if not n or any(t[i : i + n] in x for x in others)) for i in range(len(t))]
+
+
+def shuffled(spark, df) -> int:
+    """Bytes that the stages of an action write for a shuffle."""
+    sc = spark.sparkContext
+    total = lambda: sum(sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), None).apply(k).shuffleWriteBytes() for k in range(sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), None).size()))
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    before = total()
+    df().collect()
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    return total() - before
+
+
+def test_lm_scores_shuffle_in_proportion_to_the_corpus(spark):
+    """Texts are not copied to pairs of parts: four times the texts in parts of one size, about four times the bytes."""
+    rng = random.Random(44)
+    rows = [(i, prose(rng, 400)) for i in range(400)]
+    few, many = (shuffled(spark, lambda n=n: lm_score.score_whole(docs(spark, rows[:n]), 40_000)) for n in (100, 400))
+    assert 0 < many < 6 * few
+
+
 def test_chunks_stand_where_the_words_say(spark):
     rng = random.Random(3)
     text = prose(rng, 400)
