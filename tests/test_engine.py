@@ -98,6 +98,43 @@ def test_incremental_path_is_the_literal_one():
         assert [x[:3] for x in a] == [x[:3] for x in b]
 
 
+def test_alike_sequences_are_merged_as_kinds():
+    """Three thousand sequences of four kinds: pairs of kinds only, and the literal path where there are few of each."""
+    rng = np.random.default_rng(11)
+    kinds = [[(0, 0), (1, 1)], [(0, 0), (1, 1), (2, 1)], [(0, 1)], [(1, 0), (2, 0)]]
+
+    def many(k):
+        rows = [(s, t, e) for s in range(k) for t, e in kinds[int(rng.integers(0, 4))]]
+        s, t, e = (np.array(x) for x in zip(*rows))
+        return kernel.Data(s, t, e, np.ones(len(s), np.int64), k, 3, 2)
+
+    d = many(3000)
+    m = kernel.Merger(d, kernel.Parts(np.arange(d.ns), np.arange(d.nt), np.arange(d.ne)))
+    assert m.value[0].size <= 16
+    for _ in range(6):
+        d = many(14)
+        p = kernel.Parts(np.arange(d.ns), np.arange(d.nt), np.arange(d.ne))
+        a, b = kernel.greedy(d, p)[1], kernel.greedy_reference(d, p)[1]
+        assert [x[:3] for x in a] == [x[:3] for x in b]
+
+
+def test_moves_of_values_reach_a_local_optimum():
+    """No single move lowers the cost any more, scored from scratch; a value's points are folded by cell."""
+    rng = np.random.default_rng(12)
+    cells, weight, edge = kernel._by_value(np.array([1, 0, 1, 1]), np.array([2, 0, 2, 1]), np.array([1, 2, 3, 4]), 3, 3)
+    assert (cells.tolist(), weight.tolist(), edge) == ([0, 1, 2], [2, 4, 4], [0, 1, 3, 3])
+    for _ in range(6):
+        d = data(rng, ns=12)
+        p = parts(rng, d, 4)
+        kernel.improve_values(d, p, 0, rng, passes=50)
+        now = kernel.total(d, p)
+        for v in range(d.ns):
+            for to in range(int(p.s.max()) + 1):
+                q = kernel.Parts(p.s.copy(), p.t, p.e)
+                q.s[v] = to
+                assert kernel.total(d, q) >= now - 1e-6
+
+
 def test_improvements_never_raise_the_cost():
     rng = np.random.default_rng(4)
     for _ in range(10):
