@@ -435,3 +435,13 @@ def test_sweep_plants_the_same_points_in_a_task(spark, sf):
     plan = swept._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" in plan and plan.count("Exchange") <= 2
     assert {r["N"] for r in swept.collect()} == {64, 128, 256, 512, 1000}
+
+
+def test_a_fit_with_time_cut_first_keeps_its_options(spark, monkeypatch):
+    p = points.from_rows(spark, [(i % 3, i, "ab"[i % 2]) for i in range(600)])
+    seen, real = [], fits.restarts
+    monkeypatch.setattr(fits, "CAP", 16)
+    monkeypatch.setattr(fits, "restarts", lambda *a, **k: (seen.append((a[0].count(), k)), real(*a, **k))[1])
+    g = fits.fit(p, rounds=1, start="finest", pre=False, post=False, max_kernel_points=200)
+    assert g.shape().N == 600 and seen[0][0] <= 200
+    assert (seen[0][1]["start"], seen[0][1]["pre"], seen[0][1]["post"]) == ("finest", False, False)
