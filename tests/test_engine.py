@@ -445,3 +445,36 @@ def test_a_fit_with_time_cut_first_keeps_its_options(spark, monkeypatch):
     g = fits.fit(p, rounds=1, start="finest", pre=False, post=False, max_kernel_points=200)
     assert g.shape().N == 600 and seen[0][0] <= 200
     assert (seen[0][1]["start"], seen[0][1]["pre"], seen[0][1]["post"]) == ("finest", False, False)
+
+
+def test_a_start_holds_few_bytes_a_point(monkeypatch):
+    """Points are kept in 16 bytes, and moves of values and shifts and splits of bounds work on blocks of them."""
+    import tracemalloc
+
+    monkeypatch.setattr(kernel, "BLOCK", 1 << 14)
+    n, rng = 400_000, np.random.default_rng(21)
+    d = kernel.Data(rng.integers(0, 50, n), np.arange(n) // 4, rng.integers(0, 5, n), np.ones(n, int), 50, n // 4, 5)
+    assert sum(x.nbytes for x in (d.s, d.t, d.e, d.n)) == 16 * n
+    p = kernel.random_start(d, np.random.default_rng(2))
+    steps = (lambda: kernel.improve_values(d, p, 0, rng, 1), lambda: kernel.improve_values(d, p, 2, rng, 1), lambda: kernel.improve_bounds(d, p, 1), lambda: kernel.split_bounds(d, kernel.null_parts(d)), lambda: kernel.total(d, p))
+    for step in steps:
+        tracemalloc.start()
+        step()
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        assert peak <= 48 * n
+
+
+def test_starts_read_packed_points(spark):
+    """Blocks of points give the codes that the points as one table give, and no start's points are exchanged."""
+    rows = [(f"u{i % 7}", i // 3, "xyz"[i * i % 3]) for i in range(300)]
+    p = points.from_rows(spark, rows, "s string, t int, e string")
+    blocks = [bytes(r["block"]) for r in fits._packed(p).collect()]
+    d, *values = fits.data_of_blocks(blocks, "at_most")
+    w, *want = fits.data_of(p.toPandas(), "at_most")
+    assert [x.tolist() for x in values] == [x.tolist() for x in want]
+    assert sorted(zip(d.s, d.t, d.e, d.n)) == sorted(zip(w.s, w.t, w.e, w.n))
+    runs = fits.run_rounds(p, 3)
+    plan = runs._jdf.queryExecution().executedPlan().toString()
+    assert "CartesianProduct" in plan and "Exchange" not in plan
+    assert sorted(r["round"] for r in runs.collect()) == [0, 1, 2]
