@@ -469,7 +469,7 @@ def test_starts_read_packed_points(spark):
     """Blocks of points give the codes that the points as one table give, and no start's points are exchanged."""
     rows = [(f"u{i % 7}", i // 3, "xyz"[i * i % 3]) for i in range(300)]
     p = points.from_rows(spark, rows, "s string, t int, e string")
-    blocks = [bytes(r["block"]) for r in fits._packed(p).collect()]
+    blocks = [bytes(r["block"]) for r in fits._packed(p.select(*"sten")).collect()]
     d, *values = fits.data_of_blocks(blocks, "at_most")
     w, *want = fits.data_of(p.toPandas(), "at_most")
     assert [x.tolist() for x in values] == [x.tolist() for x in want]
@@ -478,3 +478,15 @@ def test_starts_read_packed_points(spark):
     plan = runs._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" in plan and "Exchange" not in plan
     assert sorted(r["round"] for r in runs.collect()) == [0, 1, 2]
+
+
+def test_moves_of_a_profile_that_a_task_holds(spark, monkeypatch):
+    """One task makes them one after the other, to an optimum of single moves; the points carry the same parts."""
+    p = synth.two_patterns(spark, 3000, 5, 0.1, seed=5).withColumn("s", F.concat(F.lit("u"), "s"))
+    g = grid.lay(p, F.pmod(F.xxhash64("s"), F.lit(3)), encode.interval_of(F.col("t"), [100, 250, 400, 500, 600, 750]), F.floor(F.col("e") / 3))
+    monkeypatch.setattr(refine, "move_values", None)  # no pass over all values at once is needed
+    h, n = fits.move_values(g, "S")
+    assert n and score.cost(h) < score.cost(g)
+    assert score.cost(grid.of_columns(h.laid)) == pytest.approx(score.cost(h), abs=1e-6)
+    assert refine.move_deltas(h, "S").agg(F.min("delta")).first()[0] >= -1e-6
+    assert fits.move_values(h, "S")[1] == 0
