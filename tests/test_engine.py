@@ -490,3 +490,14 @@ def test_moves_of_a_profile_that_a_task_holds(spark, monkeypatch):
     assert score.cost(grid.of_columns(h.laid)) == pytest.approx(score.cost(h), abs=1e-6)
     assert refine.move_deltas(h, "S").agg(F.min("delta")).first()[0] >= -1e-6
     assert fits.move_values(h, "S")[1] == 0
+
+
+def test_bounds_that_a_task_holds(spark):
+    """Bounds shift and split to where no single shift or split lowers the cost, as the passes over all points find them."""
+    p = synth.two_patterns(spark, 3000, 5, 0.1, seed=11)
+    g = grid.lay(p, F.col("s") % 2, encode.interval_of(F.col("t"), [130, 480]), F.floor(F.col("e") / 3))
+    h, n = fits.move_bounds(g)
+    assert n and score.cost(h) < score.cost(g) and score.cost(h) <= score.cost(synth.truth_grid(p)) + 1e-6
+    assert refine.boundary_deltas(h).agg(F.min("delta")).first()[0] >= -1e-6
+    assert refine.split_deltas(h).agg(F.min("delta")).first()[0] + merge.variable_step(h, "T", -1) >= -1e-6
+    assert fits.move_bounds(h)[1] == 0
